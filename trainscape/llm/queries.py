@@ -6,10 +6,15 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from trainscape.llm import near_dedup
+from trainscape.llm import mixing, near_dedup, quality_rules
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_near_dedup": near_dedup.op1_near_dedup,
+    "op2_quality_rules": quality_rules.op2_quality_rules,
+    "op3_mix_sources": mixing.op3_mix_sources,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op2_quality_rules": quality_rules.OP2_SQL,
+    "op3_mix_sources": mixing.OP3_SQL,
+}
