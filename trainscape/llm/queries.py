@@ -6,12 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from trainscape.llm import mixing, near_dedup, quality_rules
+from trainscape.llm import language_id, mixing, near_dedup, quality_rules, toxicity
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_near_dedup": near_dedup.op1_near_dedup,
     "op2_quality_rules": quality_rules.op2_quality_rules,
     "op3_mix_sources": mixing.op3_mix_sources,
+    "op7_toxicity": toxicity.op7_toxicity,
+    "op10_language_id": language_id.op10_language_id,
 }
 
 ORACLES: dict[str, str] = {
