@@ -145,6 +145,18 @@ def identify_language(docs: DataFrame, prototypes: dict[str, np.ndarray], order:
     return rows.mapInArrow(_classify(prototypes, order, dims), "doc_id long, lang_pred string, score double")
 
 
+def with_language(docs: DataFrame, prototypes: dict[str, np.ndarray], least: float, order: int = ORDER, dims: int = DIMS) -> DataFrame:
+    """The documents that have a language, with lang set to it, other columns as they are.
+
+    Texts without letters and texts whose cosine with each prototype is under `least` go.
+    """
+    names = docs.columns
+    found = docs.select(F.struct(*names).alias("row"), F.col("text").cast("string").alias("text"))
+    found = found.mapInArrow(_classify(prototypes, order, dims), f"row {found.schema['row'].dataType.simpleString()}, lang_pred string, score double")
+    found = found.where((F.col("lang_pred") != UND) & (F.col("score") >= least))
+    return found.select(*(F.col("lang_pred").alias(n) if n == "lang" else F.col(f"row.`{n}`").alias(n) for n in names))
+
+
 def train_rows(docs: DataFrame) -> DataFrame:
     """Documents to learn from: crc32 of the id mod 4 is not 2, the language is not null."""
     return docs.where((crc_mod(F.col("doc_id"), 4) != 2) & F.col("lang").isNotNull()).select("doc_id", F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang"))

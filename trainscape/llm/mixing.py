@@ -44,24 +44,8 @@ def _by_source(left: DataFrame, right: DataFrame) -> DataFrame:
     return left.join(small_side(right), F.col("source").eqNullSafe(F.col("source_r")), "left").drop("source_r")
 
 
-def mix_sources(docs: DataFrame, percent: int = 150, repeats: int = 2, weights: tuple[int, ...] = WEIGHTS) -> DataFrame:
-    """(doc_id, size, source_size, target, taken) of a mix of `percent` of all words.
-
-    Size is a text's number of words (null: 0). Sources in code-point order,
-    null last, weigh `weights` in turn and share the total; none is taken more
-    than `repeats` times, the excess is shared by the others by weight. Each
-    source is taken whole as often as its target holds it; of the remainder,
-    those documents are taken once more whose hash is under a threshold. The
-    threshold is found in nested histograms of words by source and hash bucket:
-    only the bucket on the boundary is refined, and the last boundary bucket is
-    taken if at least half of it fits. Nothing is sorted.
-
-    The hash is md5 of doc_id (null: of the empty string), so reruns agree and
-    rows that repeat an id go together. Empty sources have target 0. Other
-    columns are ignored.
-    """
-    text, source = F.col("text").cast("string"), F.col("source").cast("string")
-    base = checkpointed(docs.select(F.col("doc_id").cast("long").alias("doc_id"), source.alias("source"), words_count(text).alias("size"), F.substring(F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary")), 1, DIGITS * LEVELS).alias("digest")))
+def _thresholds(base: DataFrame, percent: int, repeats: int, weights: tuple[int, ...]) -> DataFrame:
+    """(source, source_size, target, whole, prefix, inclusive): how often a source is taken whole, and the hashes taken once more."""
     sizes = base.groupBy("source").agg(F.sum("size").alias("source_size"))
     targets = _targets(sizes, percent, repeats, weights)
     whole = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(F.lit(0)).cast("long")
@@ -79,10 +63,47 @@ def mix_sources(docs: DataFrame, percent: int = 150, repeats: int = 2, weights:
             include = F.col("part").isNull() | (2 * room >= F.col("n"))
             joined = joined.withColumn("inclusive", include)
         state = checkpointed(joined.withColumn("room", room).withColumn("prefix", F.concat("prefix", F.coalesce("part", F.lit("g")))).drop("part", "below", "n"))
-    chosen = _by_source(base, state.select("source", "source_size", "target", "whole", "prefix", "inclusive"))
+    return state.select("source", "source_size", "target", "whole", "prefix", "inclusive")
+
+
+def _times(repeats: int) -> Column:
+    """How often a document is taken."""
     under = (F.col("digest") < F.col("prefix")) | ((F.col("digest") == F.col("prefix")) & F.col("inclusive"))
-    taken = F.col("size") * (F.col("whole") + F.when((F.col("whole") < repeats) & under, 1).otherwise(0))
-    return chosen.select("doc_id", "size", "source_size", "target", taken.cast("long").alias("taken"))
+    return F.col("whole") + F.when((F.col("whole") < repeats) & under, 1).otherwise(0)
+
+
+def _sized(docs: DataFrame, *more: str) -> DataFrame:
+    key = F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), words_count(F.col("text").cast("string")).alias("size"), F.substring(F.md5(key), 1, DIGITS * LEVELS).alias("digest"), *more)
+
+
+def mix_sources(docs: DataFrame, percent: int = 150, repeats: int = 2, weights: tuple[int, ...] = WEIGHTS) -> DataFrame:
+    """(doc_id, size, source_size, target, taken) of a mix of `percent` of all words.
+
+    Size is a text's number of words (null: 0). Sources in code-point order,
+    null last, weigh `weights` in turn and share the total; none is taken more
+    than `repeats` times, the excess is shared by the others by weight. Each
+    source is taken whole as often as its target holds it; of the remainder,
+    those documents are taken once more whose hash is under a threshold. The
+    threshold is found in nested histograms of words by source and hash bucket:
+    only the bucket on the boundary is refined, and the last boundary bucket is
+    taken if at least half of it fits. Nothing is sorted.
+
+    The hash is md5 of doc_id (null: of the empty string), so reruns agree and
+    rows that repeat an id go together. Empty sources have target 0. Other
+    columns are ignored.
+    """
+    base = checkpointed(_sized(docs))
+    chosen = _by_source(base, _thresholds(base, percent, repeats, weights))
+    return chosen.select("doc_id", "size", "source_size", "target", (F.col("size") * _times(repeats)).cast("long").alias("taken"))
+
+
+def repeat_taken(docs: DataFrame, percent: int = 150, repeats: int = 2, weights: tuple[int, ...] = WEIGHTS) -> DataFrame:
+    """The documents themselves, each row as often as mix_sources takes it; rows without words follow their hash too."""
+    names = docs.columns
+    base = checkpointed(_sized(docs))
+    chosen = _by_source(_sized(docs, F.struct(*names).alias("row")), _thresholds(base, percent, repeats, weights))
+    return chosen.select("row", F.explode(F.sequence(F.lit(0).cast("long"), _times(repeats).cast("long"))).alias("turn")).where("turn > 0").select("row.*")
 
 
 def op3_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
