@@ -6,6 +6,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
 def dot(a: Column, b: Column) -> Column:
@@ -21,7 +22,7 @@ def squared_distance(a: Column, b: Column) -> Column:
     return F.aggregate(F.zip_with(a, b, lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def dot_arrow(a: pd.Series, b: pd.Series) -> pd.Series:
     """The dot product over Arrow batches, for vectors too long for code generation."""
     return pd.Series([float(np.dot(x, y)) if x is not None and y is not None else None for x, y in zip(a, b)])
