@@ -91,31 +91,73 @@ def _sketch(width: int, rows: int, bands: int):
     return run
 
 
-def _verify(width: int, percent: int):
+def _compare(width: int, percent: int):
+    """Adds to pairs of texts whether they are linked, the size of a's set, and what b's set adds to it and leaves out."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes, last, held = _WordHashes(), None, None
         for batch in batches:
-            rows = batch.num_rows
-            a, b = batch.column("a").to_pylist(), batch.column("b").to_pylist()
-            good = np.zeros(rows, bool)
-            for i in range(rows):
+            a = batch.column("a").to_pylist()
+            linked, size, added, left = [], [], [], []
+            for i in range(batch.num_rows):
                 if a[i] != last:
                     last, held = a[i], shingle_sets([batch.column("text_a")[i].as_py()], width, hashes)[0]
                 other = shingle_sets([batch.column("text_b")[i].as_py()], width, hashes)[0]
-                if len(held) and len(other) and 100 * min(len(held), len(other)) >= percent * max(len(held), len(other)):
-                    common = len(np.intersect1d(held, other, assume_unique=True))
-                    good[i] = 100 * common >= percent * (len(held) + len(other) - common)
-            yield pa.RecordBatch.from_arrays([batch.column("a").filter(pa.array(good)), batch.column("b").filter(pa.array(good))], ["a", "b"])
+                more, less = np.setdiff1d(other, held, assume_unique=True), np.setdiff1d(held, other, assume_unique=True)
+                common = len(held) - len(less)
+                linked.append(bool(common) and 100 * common >= percent * (len(held) + len(more)))
+                size.append(len(held))
+                added.append(more.view(_SIGNED))
+                left.append(less.view(_SIGNED))
+            yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array(linked, pa.bool_()), pa.array(size, pa.int64()), pa.array(added, pa.list_(pa.int64())), pa.array(left, pa.list_(pa.int64()))], ["a", "b", "linked", "size", "added", "missing"])
 
     return run
 
 
-def _confirmed(pairs: DataFrame, texts: DataFrame, width: int, percent: int) -> DataFrame:
-    """The pairs (a, b) that are similar enough on their full sets."""
+def _compared(pairs: DataFrame, texts: DataFrame, width: int, percent: int) -> DataFrame:
+    """(a, b, linked, size, added, missing) of pairs, on their full sets."""
     ids = checkpointed(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct())
     wanted = texts.join(small_side(ids), "id", "left_semi")
     left = pairs.join(wanted.select(F.col("id").alias("b"), F.col("text").alias("text_b")), "b")
-    return left.join(wanted.select(F.col("id").alias("a"), F.col("text").alias("text_a")), "a").select("a", "b", "text_a", "text_b").mapInArrow(_verify(width, percent), "a long, b long")
+    both = left.join(wanted.select(F.col("id").alias("a"), F.col("text").alias("text_a")), "a").select("a", "b", "text_a", "text_b")
+    return both.mapInArrow(_compare(width, percent), "a long, b long, linked boolean, size long, added array<long>, missing array<long>")
+
+
+def _stars(banded: DataFrame) -> DataFrame:
+    """(a, b): every member b of a band with the band's hub a, the member whose bands have most members in all."""
+    sizes = banded.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
+    shared = checkpointed(banded.join(sizes, "key"))
+    weight = shared.groupBy("id").agg(F.sum("n").alias("weight"))
+    rank = F.col("weight") * 1_048_576 + F.pmod(F.xxhash64("id"), F.lit(1_048_576))
+    hubs = shared.join(weight, "id").groupBy("key").agg(F.max_by("id", rank).alias("a"))
+    return shared.join(hubs, "key").where("id <> a").select("a", F.col("id").alias("b")).distinct()
+
+
+def _within_stars(tested: DataFrame, percent: int) -> DataFrame:
+    """(a, b): the pairs of two members of one hub that may be linked though not both are linked to the hub.
+
+    With the hub's set of h elements, x adding ax and missing dx of them, and y
+    likewise, of which s are the same, x and y are linked if and only if
+    (100 + p) s >= 100 (dx + dy) + p (ax + ay) - (100 - p) h. If x is not linked
+    to the hub the right side is above 0, so s is too: the two share an added
+    element, or enough missing ones alone. Few pairs pass the sizes they need.
+    """
+    failed = tested.where("not linked").select("a").distinct()
+    rows = tested.join(failed, "a", "left_semi").select("a", "b", "linked", "size", "added", "missing", F.size("added").alias("n"), F.size("missing").alias("d"))
+
+    def meet(elements: str, spare) -> DataFrame:
+        sides = [rows.select("a", F.explode(elements).alias("e"), "size", *(F.col(c).alias(f"{c}{i}") for c in ("b", "linked", "n", "d"))) for i in "xy"]
+        right = sides[1].drop("size")
+        need = 100 * (F.col("dx") + F.col("dy")) + percent * (F.col("nx") + F.col("ny")) - (100 - percent) * F.col("size")
+        once = ~F.col("linkedx") & (F.col("bx") != F.col("by")) & (F.col("linkedy") | (F.col("bx") < F.col("by")))
+        sides[0] = sides[0].where("not linkedx")
+        return sides[0].join(right, ["a", "e"]).where(once & ((100 + percent) * spare >= need)).withColumn("need", need)
+
+    fewer_missing = F.least("dx", "dy").cast("long")
+    shared = meet("added", fewer_missing + F.least("nx", "ny")).groupBy("a", "bx", "by").agg(F.count("*").alias("same"), F.max("need").alias("need"), F.max(fewer_missing).alias("most"))
+    one = shared.where((100 + percent) * (F.col("same") + F.col("most")) >= F.col("need"))
+    two = meet("missing", fewer_missing)
+    return one.select("bx", "by").unionByName(two.select("bx", "by")).select(F.least("bx", "by").alias("a"), F.greatest("bx", "by").alias("b")).distinct()
 
 
 def near_dedup(docs: DataFrame, width: int = 5, percent: int = 80, rows: int = ROWS_PER_BAND, bands: int = BANDS) -> DataFrame:
@@ -127,10 +169,11 @@ def near_dedup(docs: DataFrame, width: int = 5, percent: int = 80, rows: int = R
     doc_id reachable over links.
 
     Equal sets form one class, of which only the smallest doc_id goes on.
-    Classes that share a band are compared with the band's smallest id; after
-    that, members of a band that ended in different groups are compared with
-    one another, so no link is lost while no band of m members that agree
-    costs m * m pairs. Every link is confirmed on the full sets.
+    Classes that share a band are compared with the band's hub; of the members
+    that are not linked to it those pairs are compared that their differences
+    from the hub leave possible (an exact bound), so no link between members of
+    a band is lost and a band of m members costs no m * m pairs. Every link is
+    confirmed on the full sets.
 
     Null, empty and wordless texts have an empty set and are linked with
     nothing. Rows without a doc_id stay alone (component_id null, kept). Rows
@@ -144,20 +187,12 @@ def near_dedup(docs: DataFrame, width: int = 5, percent: int = 80, rows: int = R
     same = member.where("doc_id <> head").select(F.col("head").alias("a"), F.col("doc_id").alias("b"))
 
     heads = real.join(classes.select(F.col("head").alias("doc_id")).distinct(), "doc_id", "left_semi")
-    banded = checkpointed(heads.select(F.col("doc_id").alias("id"), "n_shingles", F.explode("bands").alias("key")))
-    shared = checkpointed(banded.groupBy("key").agg(F.min("id").alias("a"), F.max("id").alias("z")).where("a < z").select("key", "a"))
-    stars = checkpointed(banded.join(shared, "key").where("id > a").select("a", F.col("id").alias("b")).distinct())
+    banded = checkpointed(heads.select(F.col("doc_id").alias("id"), F.explode("bands").alias("key")))
+    stars = checkpointed(_stars(banded))
     texts = docs.where("doc_id is not null").select(F.col("doc_id").alias("id"), "text")
-    links = checkpointed(_confirmed(stars, texts, width, percent))
-    groups = connected_components(links)
-
-    labelled = banded.join(shared.select("key"), "key", "left_semi").join(groups.withColumnRenamed("node", "id"), "id", "left").select("key", "id", "n_shingles", F.coalesce("component", "id").alias("c"))
-    mixed = labelled.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("key")
-    open_rows = checkpointed(labelled.join(mixed, "key", "left_semi"))
-    left, right = (open_rows.select("key", F.col("id").alias(i), F.col("c").alias(f"c{i}"), F.col("n_shingles").alias(f"n{i}")) for i in "ab")
-    rest = left.join(right, "key").where((F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")))
-    rest = checkpointed(rest.select("a", "b").distinct().join(stars, ["a", "b"], "left_anti"))
-    links = links.unionByName(_confirmed(rest, texts, width, percent))
+    tested = checkpointed(_compared(stars, texts, width, percent))
+    rest = checkpointed(_within_stars(tested, percent))
+    links = tested.where("linked").select("a", "b").unionByName(_compared(rest, texts, width, percent).where("linked").select("a", "b"))
 
     final = connected_components(links.unionByName(same)).withColumnRenamed("node", "doc_id")
     out = sketched.select("doc_id", "n_shingles").join(final, "doc_id", "left")
