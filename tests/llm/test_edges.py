@@ -1,0 +1,118 @@
+"""Nulls, empty and long texts, repeated rows, empty tables and clashing column names, for every operator and stage."""
+
+import pytest
+from pyspark.sql import functions as F
+
+import corpus_pipeline
+from trainscape.llm import html_extract, language_id, mixing, near_dedup, quality_rules, secret_scan, sentencepiece_fst, topk_search, toxicity, warc_zip
+from trainscape.llm._common import connected_components
+
+DOCS = "doc_id long, text string, lang string, source string, n_chars long"
+LONG = " ".join(f"w{i % 977}x{i}" for i in range(30_000))
+ROWS = [
+    (1, "the cat sat on the mat and looked at the other cat for a while", "en", "a", 1), (1, "the cat sat on the mat and looked at the other cat for a while", "en", "a", 1),
+    (2, None, None, None, None), (3, "", "en", "a", 0), (4, " \t\n ", "en", None, 3), (None, "word", "en", "b", 4), (5, "word", "de", "b", 4), (6, "1234 5678 !!", None, "b", 12), (7, LONG, "en", "c", len(LONG)), (8, "token = abcdef123456 ▁ é", "fr", "c", 5),
+]
+CLASH = "kept component_id size digest row h salt head key n bands rank score target taken whole prefix room part lang_pred spans ids round_trip rejected_by n_words turn source_r bucket".split()
+
+
+@pytest.fixture(scope="module", params=["edge", "empty", "clash"])
+def docs(spark, request):
+    df = spark.createDataFrame(ROWS if request.param != "empty" else [], DOCS)
+    return df.withColumns({c: F.lit("x") for c in CLASH}) if request.param == "clash" else df
+
+
+def n(docs):
+    return docs.count()
+
+
+def test_near_dedup(docs):
+    got = near_dedup.near_dedup(docs, 3, 85).collect()
+    assert len(got) == n(docs)
+    by = {r["doc_id"]: r for r in got}
+    if got:
+        assert by[3]["n_shingles"] == by[2]["n_shingles"] == by[4]["n_shingles"] == 0 and by[3]["component_id"] == 3 and by[3]["kept"]
+        assert by[None]["component_id"] is None and by[None]["kept"] and by[5]["kept"] and by[5]["n_shingles"] == 1 and by[1]["kept"]
+
+
+def test_quality(docs):
+    got = {r["doc_id"]: r for r in quality_rules.quality_cascade(docs, measures=quality_rules.BASE).collect()}
+    if got:
+        assert got[2]["n_words"] == 0 and got[2]["rejected_by"] and got[1]["rejected_by"] is None and got[7]["n_words"] == 30_000
+
+
+def test_mixing(docs):
+    got = mixing.mix_sources(docs).collect()
+    assert len(got) == n(docs) and all(r["taken"] in (0, r["size"], 2 * r["size"]) for r in got)
+    kept = mixing.repeat_taken(docs)
+    assert kept.columns == docs.columns and kept.count() <= 2 * n(docs)
+
+
+def test_secrets(docs):
+    got = {r["doc_id"]: r for r in secret_scan.scan_secrets(docs).collect()}
+    if got:
+        assert got[8]["spans"] == "assign:0:20" and got[2]["spans"] == "" and got[2]["n_hex"] == 0
+        assert secret_scan.redact_secrets(docs).where("doc_id = 8").first()["text"] == "<assign> ▁ é"
+    assert secret_scan.redact_secrets(docs).columns == docs.columns
+
+
+def test_language(docs):
+    protos = language_id.learn_prototypes(language_id.train_rows(docs))
+    got = language_id.identify_language(docs, protos).collect()
+    assert len(got) == n(docs) and all(0 <= r["score"] <= 1 for r in got)
+    assert all(r["lang_pred"] == "und" and r["score"] == 0 for r in got if r["doc_id"] in (2, 3, 4, 6))
+    assert language_id.with_language(docs, protos, 0.0).columns == docs.columns
+
+
+def test_toxicity(spark, docs):
+    for labels in ([], [(1, 1, 1), (5, 1, 0), (7, 1, None), (99, 0, 1), (1, 1, 1)]):
+        model = toxicity.learn_toxicity(docs, spark.createDataFrame(labels, "doc_id long, quality int, toxic int"))
+        got = toxicity.score_toxicity(docs, model).collect()
+        assert len(got) == n(docs) and all(0 <= r["score"] <= 1 for r in got)
+
+
+def test_sentencepiece(docs):
+    got = sentencepiece_fst.encode_pieces(docs)
+    rows = {r["doc_id"]: r for r in got.collect()}
+    back = {r["doc_id"]: r["text"] for r in sentencepiece_fst.decode_pieces(got).collect()}
+    if rows:
+        assert rows[2]["ids"] == [] and rows[7]["round_trip"] and back[7] == LONG and not rows[8]["round_trip"] and back[4] == " \t\n "
+
+
+def test_pages(spark, tmp_path):
+    schema = "page_id long, url string, html string"
+    rows = [(3, "u", "<p>x</p>"), (1, None, "<p>x</p>"), (2, "a b\nc", None), (4, "v", ""), (None, "w", "<p>x</p>"), (4, "v", "")]
+    for made in (rows, []):
+        pages = spark.createDataFrame(made, schema).withColumns({c: F.lit(1) for c in ("sha", "head", "revisit", "text", "n_chars", "uri")})
+        got = html_extract.extract_main_text(pages).collect()
+        assert len(got) == len(made) and all(r["text"] == "" for r in got if r["page_id"] in (2, 4))
+        folder = str(tmp_path / f"w{len(made)}")
+        back = warc_zip.read_archives(warc_zip.write_archives(pages, folder)).collect()
+        assert sorted((r["page_id"] or 0, r["record_type"], r["refers_to"] or 0, r["payload_bytes"]) for r in back) == ([(0, "revisit", 1, 8), (1, "response", 0, 8), (2, "response", 0, 0), (3, "revisit", 1, 8), (4, "revisit", 2, 0), (4, "revisit", 2, 0)] if made else [])
+        assert {r["url"] for r in back} == ({None, "u", "a b\nc", "v", "w"} if made else set())
+
+
+def test_search(spark):
+    inf = float("inf")
+    rows = [(0, [1.0, 2.0]), (50, [1.0, 2.0]), (1, None), (2, [1.0, None]), (3, [inf, 1.0]), (4, [float("nan"), 1.0]), (5, []), (6, [1.0, 2.0, 3.0]), (7, [1.0, 2.0]), (None, [1.0, 1.0]), (7, [1.0, 2.0]), (8, [1e30, 1.0])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>").withColumns({c: F.lit(1) for c in ("v", "part", "query", "dims", "rank")})
+    got = topk_search.exact_top_k(df, F.col("vec_id") % 50 == 0).orderBy("query_id", "rank").collect()
+    assert [(r["query_id"], r["vec_id"]) for r in got] == [(0, 8), (0, 7), (0, 7), (0, 50), (50, 8), (50, 0), (50, 7), (50, 7)]
+    assert topk_search.exact_top_k(df.where("vec_id < 0"), F.col("vec_id") % 50 == 0).count() == 0
+
+
+@pytest.mark.parametrize("stage", range(5))
+def test_stages(spark, docs, stage):
+    name, f = corpus_pipeline.STAGES[stage]
+    got = f(spark, docs, "/root/testdata/sf0.001")
+    got.count()
+    if stage < 4:
+        assert tuple(got.columns) == corpus_pipeline.COLUMNS
+
+
+def test_components(spark):
+    links = [(1, 2), (2, 3), (3, 9), (20, 10), (10, 30), (5, 5)] + [(100, i) for i in range(101, 160)] + [(i, i + 1) for i in range(200, 240)]
+    got = {r["node"]: r["component"] for r in connected_components(spark.createDataFrame(links, "a long, b long")).collect()}
+    want = {2: 1, 3: 1, 9: 1, 20: 10, 30: 10} | {i: 100 for i in range(101, 160)} | {i: 200 for i in range(201, 241)}
+    assert {k: v for k, v in got.items() if k != v} == want
+    assert connected_components(spark.createDataFrame([], "a long, b long")).count() == 0
