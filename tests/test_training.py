@@ -108,8 +108,13 @@ def test_checkpoint_resume_gives_the_same_model(spark, data, tmp_path):
     whole = linear.train(df, FEATS, ["id"], J.JobSpec(stop=J.StopRule(max_rounds=3), **spec))
     first = linear.train(df, FEATS, ["id"], J.JobSpec(stop=J.StopRule(max_rounds=2), run_id="a", **spec), checkpoint=path)
     saved = {r["worker"]: r for r in load_checkpoint(spark, path, "a")}
-    rest = linear.train(df, FEATS, ["id"], J.JobSpec(stop=J.StopRule(max_rounds=1), **spec), w0=first.w, resume=saved)
-    assert np.allclose(whole.w, rest.w, atol=1e-10)
+    rest = linear.train(df, FEATS, ["id"], J.JobSpec(stop=J.StopRule(max_rounds=1), **spec), resume=saved)
+    assert np.allclose(saved[-1]["w"], first.w) and np.allclose(whole.w, rest.w, atol=1e-10)
+    two = J.JobSpec("ma", lr=J.LrSchedule(0.3), workers=4, batches=3, stop=J.StopRule(max_rounds=2), run_id="b")
+    one = J.JobSpec("ma", lr=J.LrSchedule(0.3), workers=4, batches=3, stop=J.StopRule(max_rounds=1), run_id="b")
+    linear.train(df, FEATS, ["id"], one, checkpoint=path)
+    again = linear.train(df, FEATS, ["id"], one, resume={r["worker"]: r for r in load_checkpoint(spark, path, "b")})
+    assert np.allclose(again.w, linear.train(df, FEATS, ["id"], two).w, atol=1e-10)
 
 
 def test_refusals_and_stops(data):
@@ -120,7 +125,9 @@ def test_refusals_and_stops(data):
     assert J.check_memory(89_000_000, 32, 40_000_000) and J.check_memory(89_000_000, 64, 40_000_000, 64)
     assert J.StopRule(0.5).reason(1, 0.4, 1.0) == "threshold" and J.StopRule().reason(1, float("nan"), 1.0) == "diverged"
     result = run(data[0], algorithm="ma", rounds=1)
-    assert result.trace_rows[0][5] == "communicate" and result.trace_rows[0][7] == 4 * 10
+    sent = [r for r in result.trace_rows if r[5] == "communicate"]
+    assert len(sent) == 4 and all(r[7] == 3 * 4 - 2 and r[8] == 10 * 8 * 4 // 4 for r in sent)
+    assert sum(r[6] for r in result.trace_rows if r[5] == "compute") == 540
 
 
 def test_empty_and_missing_workers(spark, data):

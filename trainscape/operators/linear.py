@@ -131,7 +131,9 @@ def train(examples: DataFrame, feats: list[str], keys: list[str], job: JobSpec,
     every pass or every sync_every batches, 'admm' lets each worker solve its
     own part near the consensus by inner_epochs passes. Loss is measured on the
     validation split after each round (for 'ga' each epoch). A worker without
-    rows counts for nothing. With `resume` ADMM takes up x and u of each worker.
+    rows counts for nothing. With a checkpoint path each round saves the shared
+    model as worker -1, and x and u of each ADMM worker; `resume` takes them up.
+    The trace has the rows, messages and bytes of every worker and phase.
     """
     job.validate()
     spark, d = examples.sparkSession, len(feats) + 1
@@ -140,8 +142,20 @@ def train(examples: DataFrame, feats: list[str], keys: list[str], job: JobSpec,
     rows = layout(fit, feats, job.workers, keys, table) if job.algorithm != "ga" else fit.select("worker", "batch", "y", *feats).persist()
     history, trace, status, n_round = [], [], None, 0
     n_msgs, parts = transfers(job.pattern, "object_store", job.workers)
-    x = {int(k): np.array(v["w"]) for k, v in (resume or {}).items()}
-    u = {int(k): np.array(v["dual"]) for k, v in (resume or {}).items()}
+    if resume and -1 in resume:
+        w = np.array(resume[-1]["w"])
+    resume = {k: v for k, v in (resume or {}).items() if k >= 0}
+    sizes_of = {r["worker"]: r["count"] for r in rows.groupBy("worker").count().collect()}
+    trace += [(job.run_id, 0, 0, 0, j, "load", n, 1, 8 * d * n) for j, n in sorted(sizes_of.items())]
+
+    def told(batch: int, rows_of: dict[int, int], passes: int = 1) -> None:
+        """What each worker computed and sent in one synchronisation."""
+        for j, n in sorted(sizes_of.items()):
+            trace.append((job.run_id, n_round, n_round, batch, j, "compute", rows_of.get(j, 0) * passes, 0, 0))
+            trace.append((job.run_id, n_round, n_round, batch, j, "communicate", 0, n_msgs, int(np.ceil(n_msgs * 8 * d / parts))))
+
+    x = {int(k): np.array(v["w"]) for k, v in resume.items()}
+    u = {int(k): np.array(v["dual"]) for k, v in resume.items()}
     try:
         while status is None:
             n_round += 1
@@ -150,7 +164,7 @@ def train(examples: DataFrame, feats: list[str], keys: list[str], job: JobSpec,
                 for t in range(job.batches):
                     g, n = gradient(rows.where(F.col("batch") == t), w, feats, job.loss)
                     w = w - lr * g
-                    trace.append((job.run_id, n_round, n_round, t, -1, "communicate", n, n_msgs * job.workers, int(np.ceil(n_msgs * 8 * d / parts)) * job.workers))
+                    told(t, {j: round(m * n / max(1, sum(sizes_of.values()))) for j, m in sizes_of.items()})
             elif job.algorithm == "ma":
                 step = job.sync_every or job.batches
                 for t in range(0, job.batches, step):
@@ -160,7 +174,7 @@ def train(examples: DataFrame, feats: list[str], keys: list[str], job: JobSpec,
                     found = merged.collect()
                     for r in found:
                         w[r["coord"]] = r["value"]
-                    trace.append((job.run_id, n_round, n_round, t, -1, "communicate", 0, n_msgs * job.workers, int(np.ceil(n_msgs * 8 * d / parts)) * job.workers))
+                    told(t, {j: round(m * min(step, job.batches - t) / job.batches) for j, m in sizes_of.items()})
             else:
                 anchors = {j: w - u.get(j, np.zeros(d)) for j in range(job.workers)}
                 x = {j: x.get(j, w.copy()) for j in range(job.workers)}
@@ -178,9 +192,10 @@ def train(examples: DataFrame, feats: list[str], keys: list[str], job: JobSpec,
                 w = soft_threshold(mean, job.l1 / (len(present) * job.rho)) if job.l1 else mean
                 for j in present:
                     u[j] = u.get(j, np.zeros(d)) + x[j] - w
-                trace.append((job.run_id, n_round, n_round, 0, -1, "communicate", sum(sizes.values()), n_msgs * job.workers, int(np.ceil(n_msgs * 8 * d / parts)) * job.workers))
-                if checkpoint:
-                    save_checkpoint(spark, checkpoint, job.run_id, [(j, n_round, 0, [float(a) for a in x[j]], [float(a) for a in u[j]]) for j in present])
+                told(0, sizes, job.inner_epochs)
+            if checkpoint:
+                own = [(j, n_round, 0, [float(a) for a in x[j]], [float(a) for a in u[j]]) for j in sorted(u)]
+                save_checkpoint(spark, checkpoint, job.run_id, [(-1, n_round, 0, [float(a) for a in w], []), *own])
             loss = eval_loss(held, w, feats, job.loss)
             moved = float(np.abs(w - before).max())
             primal = float(np.sqrt(sum(((x[j] - w) ** 2).sum() for j in x))) if job.algorithm == "admm" else 0.0

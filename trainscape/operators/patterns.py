@@ -38,6 +38,24 @@ def tree_reduce(stats: DataFrame, fan_in: int, op: str = "mean") -> DataFrame:
     return _finish(first.groupBy("coord").agg(F.sum("s").alias("s"), F.sum("w").alias("w")), op)
 
 
+def leader_merge(stats: DataFrame, op: str = "mean") -> DataFrame:
+    """Aggregation through storage: parts are written, one leader merges them, all read the merged state; the same plan as all_reduce."""
+    return all_reduce(stats, op)
+
+
+def ps_merge(model: DataFrame, stats: DataFrame, lr: float) -> DataFrame:
+    """(coord, value): a parameter server's step; pushed gradients are averaged by weight and applied to its model."""
+    grad = _finish(stats.groupBy("coord").agg(F.sum(F.col("value") * F.col("weight")).alias("s"), F.sum("weight").alias("w")), "mean").withColumnRenamed("value", "g")
+    return model.join(grad, "coord", "full_outer").select("coord", (F.coalesce("value", F.lit(0.0)) - lr * F.coalesce("g", F.lit(0.0))).alias("value"))
+
+
+def payload(spark, n_bytes: int, workers: int) -> DataFrame:
+    """Statistics of a model of n_bytes on each worker, made without reading anything: coordinate c of worker j is c + j."""
+    coords = -(-n_bytes // 8)
+    rows = spark.range(coords * workers).select((F.col("id") % workers).cast("int").alias("worker"), F.floor(F.col("id") / workers).cast("int").alias("coord"))
+    return rows.select("worker", "coord", (F.col("coord") + F.col("worker")).cast("double").alias("value"), F.lit(1.0).alias("weight"))
+
+
 def reduce_with(pattern: str, stats: DataFrame, workers: int, op: str = "mean") -> DataFrame:
     if pattern == "all_reduce":
         return all_reduce(stats, op)

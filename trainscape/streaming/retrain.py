@@ -69,3 +69,33 @@ def arrivals(events: DataFrame, every: str = "1 hour", watermark: str | None = N
 
 def unique_events(stream: DataFrame, watermark: str = "10 minutes") -> DataFrame:
     return stream.withWatermark("ts", watermark).dropDuplicatesWithinWatermark(["event_id"])
+
+
+def completions(requests: DataFrame, results: DataFrame, within: str = "1 hour") -> DataFrame:
+    """(request, user_id, asked, done): requests (event_id, user_id, ts) joined with the same user's results that come within an interval; both sides carry watermarks."""
+    r = requests.select(F.col("event_id").alias("request"), "user_id", F.col("ts").alias("asked")).withWatermark("asked", within)
+    d = results.select(F.col("user_id").alias("_user"), F.col("ts").alias("done")).withWatermark("done", within)
+    on = (F.col("user_id") == F.col("_user")) & (F.col("done") >= F.col("asked")) & (F.col("done") <= F.col("asked") + F.expr(f"interval {within}"))
+    return r.join(d, on).select("request", "user_id", "asked", "done")
+
+
+def user_models(stream: DataFrame, lr: float = 0.1) -> DataFrame:
+    """(user_id, n, w) after each micro-batch: a logistic model per user, kept in state and moved by the user's new events."""
+    import pandas as pd
+
+    loss = LogisticLoss()
+
+    def update(key, frames, state):
+        n, w = state.get if state.exists else (0, [0.0] * 4)
+        w = np.array(w)
+        for f in frames:
+            f = f.sort_values("event_id")
+            x, y = np.column_stack([f["f0"], f["f1"], f["f2"], np.ones(len(f))]), f["y"].to_numpy()
+            for row, label in zip(x, y):
+                w = w - lr * loss.np_slope(label * (row @ w)) * label * row
+            n += len(f)
+        state.update((n, [float(v) for v in w]))
+        yield pd.DataFrame({"user_id": [key[0]], "n": [n], "w": [[float(v) for v in w]]})
+
+    made = stream.select("user_id", "event_id", F.when(F.col("event_type") == "click", 1.0).otherwise(-1.0).alias("y"), (F.least(F.col("value"), F.lit(500.0)) / 250.0 - 1).alias("f0"), (F.hour("ts") / 11.5 - 1).alias("f1"), (F.from_json("props", "k INT")["k"] / 49.5 - 1).alias("f2"))
+    return made.groupBy("user_id").applyInPandasWithState(update, "user_id long, n long, w array<double>", "n long, w array<double>", "update", "NoTimeout")
