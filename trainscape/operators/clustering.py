@@ -112,3 +112,62 @@ def em_kmeans(rows: DataFrame, feats: list[str], k: int, keys: list[str], iters:
             break
     rows.unpersist()
     return centroids, losses
+
+
+# ---- sparse rows in coordinate form
+
+
+def sparse_assign(features: DataFrame, centroids: DataFrame, key: str) -> DataFrame:
+    """(key, cluster, d): the nearest of centroids (cluster, coord, value) for rows (key, coord, value), of equal ones the smallest.
+
+    Distances are |x|^2 - 2 x c + |c|^2, so only coordinates of both sides meet;
+    clusters without a shared coordinate count with x c = 0.
+    """
+    norms = features.groupBy(key).agg(F.sum(F.col("value") * F.col("value")).alias("xx"))
+    sizes = centroids.groupBy("cluster").agg(F.sum(F.col("value") * F.col("value")).alias("cc"))
+    meet = features.join(centroids.withColumnRenamed("value", "c"), "coord").groupBy(key, "cluster").agg(F.sum(F.col("value") * F.col("c")).alias("xc"))
+    every = norms.crossJoin(F.broadcast(sizes))  # k rows
+    d = F.col("xx") - 2 * F.coalesce("xc", F.lit(0.0)) + F.col("cc")
+    best = every.join(meet, [key, "cluster"], "left").select(key, F.struct(d.alias("d"), "cluster").alias("m")).groupBy(key).agg(F.min("m").alias("m"))
+    return best.select(key, "m.cluster", "m.d")
+
+
+def sparse_em_step(features: DataFrame, centroids: DataFrame, key: str) -> tuple[DataFrame, DataFrame]:
+    """(new centroids, (key, cluster, d) to the old ones); an empty cluster keeps its centroid. Centroids stay distributed."""
+    at = sparse_assign(features, centroids, key)
+    counts = at.groupBy("cluster").agg(F.count("*").alias("n"))
+    sums = features.join(at.select(key, "cluster"), key).groupBy("cluster", "coord").agg(F.sum("value").alias("s"))
+    moved = sums.join(F.broadcast(counts), "cluster").select("cluster", "coord", (F.col("s") / F.col("n")).alias("value"))
+    kept = centroids.join(F.broadcast(counts), "cluster", "left_anti").select("cluster", "coord", "value")
+    return moved.unionByName(kept), at
+
+
+# ---- long dense vectors
+
+
+def block_em_step(rows: DataFrame, centroids: np.ndarray) -> tuple[np.ndarray, float, int]:
+    """em_step for (x array) rows of many dimensions, by blocks of distances in numpy."""
+    k, d = centroids.shape
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums, counts, losses = np.zeros((k, d)), np.zeros(k, np.int64), np.zeros(k)
+        half = (centroids**2).sum(1)
+        for batch in batches:
+            for lo in range(0, batch.num_rows, 1024):
+                part = batch.slice(lo, 1024).column("x")
+                x = part.flatten().to_numpy(zero_copy_only=False).reshape(len(part), -1)
+                at = (half - 2 * x @ centroids.T).argmin(1)
+                np.add.at(sums, at, x)
+                counts += np.bincount(at, minlength=k)
+                losses += np.bincount(at, ((x - centroids[at]) ** 2).sum(1), minlength=k)
+        used = np.flatnonzero(counts)
+        yield pa.RecordBatch.from_arrays([pa.array(used.astype(np.int32)), pa.array(counts[used]), pa.array(losses[used]), pa.array(list(sums[used]), pa.list_(pa.float64()))], ["c", "n", "loss", "s"])
+
+    parts = rows.select("x").mapInArrow(run, "c int, n long, loss double, s array<double>")
+    long = parts.select("c", "n", "loss", F.posexplode("s").alias("i", "v")).groupBy("c", "i").agg(F.sum("v").alias("v"), F.sum("n").alias("n"), F.sum("loss").alias("loss"))
+    new, seen = centroids.copy(), {}
+    for r in long.collect():
+        new[r["c"], r["i"]] = r["v"] / r["n"]
+        seen[r["c"]] = (r["n"], r["loss"])
+    total = sum(n for n, _ in seen.values())
+    return new, (sum(l for _, l in seen.values()) / total if total else float("nan")), total

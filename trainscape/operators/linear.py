@@ -265,3 +265,42 @@ def sparse_step(model: DataFrame, grad: DataFrame, lr: float, l2: float = 0.0) -
 def sparse_loss(features: DataFrame, labels: DataFrame, model: DataFrame, loss, key: str) -> float | None:
     s = features.join(model.withColumnRenamed("value", "w"), "coord", "left").groupBy(key).agg(F.sum(F.col("value") * F.coalesce("w", F.lit(0.0))).alias("s"))
     return labels.join(s, key, "left").agg(F.avg(loss.value(F.col("y") * F.coalesce("s", F.lit(0.0))))).first()[0]
+
+
+# ---- long dense vectors in Arrow blocks
+
+
+def block_gradient(rows: DataFrame, w: np.ndarray, loss, limit: int = COLLECT_LIMIT) -> tuple[np.ndarray, float, int]:
+    """(mean gradient, mean loss, rows) over (x array, y) rows; w has no intercept. One vector leaves each task and is summed by coordinate."""
+    d = len(w)
+    if d > limit:
+        raise TooLargeToCollect(f"{d} coordinates")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total, value, n = np.zeros(d), 0.0, 0
+        for batch in batches:
+            for lo in range(0, batch.num_rows, 1024):
+                part = batch.slice(lo, 1024)
+                x = part.column("x").flatten().to_numpy(zero_copy_only=False).reshape(part.num_rows, -1)
+                y = part.column("y").to_numpy(zero_copy_only=False)
+                m = y * (x @ w)
+                total, value, n = total + (loss.np_slope(m) * y) @ x, value + float(loss.np_value(m).sum()), n + len(y)
+        if n:
+            yield pa.RecordBatch.from_arrays([pa.array([n]), pa.array([value]), pa.array([total], pa.list_(pa.float64()))], ["n", "value", "g"])
+
+    parts = rows.select("x", "y").mapInArrow(run, "n long, value double, g array<double>")
+    sums = parts.select("n", "value", F.posexplode("g").alias("i", "v"))
+    g, n, value = np.zeros(d), 0, 0.0
+    for r in sums.groupBy("i").agg(F.sum("v").alias("v"), F.sum("n").alias("n"), F.sum("value").alias("value")).collect():
+        g[r["i"]], n, value = r["v"], r["n"], r["value"]
+    return g / max(n, 1) + loss.l2 * w * (n > 0), value / max(n, 1), n
+
+
+def block_train(rows: DataFrame, loss, lr: float, steps: int, dims: int, batches: int = 1) -> tuple[np.ndarray, list[float]]:
+    """Gradient averaging over (x, y[, batch]) rows of long vectors; the loss is that before each step."""
+    w, losses = np.zeros(dims), []
+    for s in range(steps):
+        g, value, _ = block_gradient(rows if batches == 1 else rows.where(F.col("batch") == s % batches), w, loss)
+        losses.append(value)
+        w = w - lr * g
+    return w, losses

@@ -258,7 +258,32 @@ _TEXT = """d as (select doc_id, text from documents where doc_id in (select doc_
  v as (select doc_id, coord, tf * (ln((1.0e0 + (select count(*) from d)) / (1.0e0 + count(*) over (partition by coord))) + 1.0e0) v from tf),
  x as materialized (select doc_id, coord, v / sqrt(sum(v * v) over (partition by doc_id)) as value from v)"""
 
+_CTR = """e as (select *, (props->>'k')::int as k, hour(ts) as hh, isodow(ts) - 1 as wd from events), x as materialized (select event_id doc_id, coord, 1.0e0 as value from (""" + " union all ".join(f"select event_id, ({hash_sql(n, *c)} % 1048576)::int coord from e" for n, c in {"user": ["user_id"], "k": ["k"], "hour": ["hh"], "day_hour": ["wd", "hh"], "user_k": ["user_id", "k"], "user_hour": ["user_id", "hh"]}.items()) + "))"
+
+
+def two_sparse_steps(source: str, labels: str, first: float, slope: str) -> str:
+    """Two steps from nothing; `first` is the slope at margin 0."""
+    return f"with {source}, y as ({labels}), n as (select count(*) n from y), m1 as materialized (select coord, -sum({num(first)} * y * value) / any_value(n) w from x join y using (doc_id), n group by coord), s as (select doc_id, sum(value * w) s from x join m1 using (coord) group by doc_id), m2 as (select coord, sum({slope} * y * value) / any_value(n) g from x join y using (doc_id) join s using (doc_id), n group by coord) select coord, round(w - g, 6) + 0.0e0 as value from m1 join m2 using (coord)"
+
+
+_QUALITY = "select doc_id, case when quality = 1 then 1.0e0 else -1.0e0 end y from labels where quality is not null"
+_LOGISTIC, _HINGE = "(-1.0e0 / (1.0e0 + exp(y * s)))", "(case when y * s < 1.0e0 then -1.0e0 else 0.0e0 end)"
+_WIDE = f"v as materialized (select vec_id, unnest(range(64)) i, unnest(embedding)::double v from embeddings), l as (select vec_id, case when label = 0 then 1.0e0 else -1.0e0 end y from embeddings where {hash_sql('split', 'vec_id')} % 10 >= 1), x as materialized (select a.vec_id, a.i * 64 + b.i coord, a.v * b.v as value from v a join v b using (vec_id))"
+_STORE_L, _STORE_B = num(_L["object_store"]), num(_B["object_store"])
+_KINDS = [("fs", terms_sql("a", "fs", False, source="h"), FS_D), ("vc", terms_sql("b", "vc", False, source="h"), VC_D), ("vc_c5", terms_sql("c", "vc", False, net="net_c5_large", source="h"), f"{num(2 * constants.PRICE_VC)} * w * runtime_s"), ("gpu", terms_sql("d", "vc", False, net="net_c5_large", gpu=8.0, source="h"), f"{num(_GPU)} * w * runtime_s")]
+
 ORACLES: dict[str, str] = {
+    "sparse_svm_step": two_sparse_steps(_TEXT, _QUALITY, -1.0, _HINGE),
+    "ctr_lr_step": two_sparse_steps(_CTR, "select event_id doc_id, case when event_type = 'click' then 1.0e0 else -1.0e0 end y from events", -0.5, _LOGISTIC),
+    "sparse_kmeans": f"with {_TEXT}, f as (select doc_id, row_number() over (order by doc_id) - 1 as cluster from (select distinct doc_id from x order by doc_id limit 3)), c as materialized (select cluster, coord, value c from x join f using (doc_id)), xx as (select doc_id, sum(value * value) xx from x group by doc_id), cc as (select cluster, sum(c * c) cc from c group by cluster), xc as (select doc_id, cluster, sum(value * c) xc from x join c using (coord) group by all), far as (select doc_id, cluster, xx - 2 * coalesce(xc, 0) + cc as dist from xx cross join cc left join xc using (doc_id, cluster)), b as (select doc_id, min(dist) d, arg_min(cluster, (dist, cluster))::int cluster from far group by doc_id) select cluster, count(*) as n, round(sum(d), 6) + 0.0e0 as loss from b group by cluster",
+    "wide_lr_steps": f"with {_WIDE}, n as (select count(*) n from l), m1 as materialized (select coord, -sum(-0.5e0 * y * value) / any_value(n) w from x join l using (vec_id), n group by coord), s as (select vec_id, sum(value * w) s from x join m1 using (coord) group by vec_id), m2 as (select coord, sum({_LOGISTIC} * y * value) / any_value(n) g from x join l using (vec_id) join s using (vec_id), n group by coord) select coord::int as coord, round(w - g, 6) + 0.0e0 as value from m1 join m2 using (coord)",
+    "pattern_table": f"select model, w, m_mb, round((w + 2) * (m_mb / {_STORE_B} + {_STORE_L}), 6) as all_reduce_s, round((3 * w - 2) * (m_mb / w / {_STORE_B} + {_STORE_L}), 6) as scatter_reduce_s from {rows_sql([('lr', 50, 0.000224), ('conv', 10, 12.0), ('residual', 10, 89.0)], 'model, w, m_mb')}",
+    "cache_threads": f"select m_mb, w, round((m_mb / w / ({num(_B['cache_t3_medium'])} / w) + {num(_L['cache_t3_medium'])}) / (m_mb / w / {num(_B['cache_t3_medium'])} + {num(_L['cache_t3_medium'])}), 6) as ratio from (select unnest([0.000224e0, 12.0e0, 89.0e0]) m_mb), (select unnest([2, 10, 50]) w)",
+    "rpc_servers": "select servers, round(3.7e0 - 0.6e0 + 0.6e0 / servers + 27.0e0, 6) as seconds from (select unnest([1, 2, 3, 4, 5]) servers)",
+    "memory_failures": "select infra, batch, (350000000 + 4 * 89000000 + batch::bigint * 40000000) / 1e9 <= gb as fits from (values ('fs', 3), ('vc', 64)) t(infra, gb), (select unnest([32, 64]) batch)",
+    "workers_sweep": f"with {GRID}, {', '.join(t for _, t, _ in _ALL)} " + " union all ".join(f"select task, algo, '{n}' as infra, w, round(runtime_s, 6) as runtime_s, round({c}, 6) as dollars from {v}" for (n, _, c), v in zip(_ALL, "abcd")),
+    "instance_scatter": f"with {GRID}, h as (select * from g where task = 'conv_image' and w = 10), {', '.join(t for _, t, _ in _KINDS)}, r as (select unnest([0.01e0, 0.05e0, 0.1e0]) lr) " + " union all ".join(f"select '{n}' as infra, lr, w, round(startup_s + load_s + (comm_s + comp_s) * (0.1e0 / lr), 6) as runtime_s, round(({c}) * (startup_s + load_s + (comm_s + comp_s) * (0.1e0 / lr)) / runtime_s, 6) as dollars from {v}, r" for (n, _, c), v in zip(_KINDS, "abcd")),
+    "payload_reduce": "select c // 1000 as block, round(sum(c + 4.5e0), 6) as value, count(*) as n from (select unnest(range(1500000)) c) group by 1",
     "dense28_features": f"with {dense_sql()} select l_orderkey, l_linenumber, l_partkey, l_suppkey, {', '.join(f'round(f{i}, 6) + 0.0e0 as f{i}' for i in range(D))}, y, split, worker, batch from ex",
     "split_balance": f"with {dense_sql()} select split, worker, count(*) as n, count(*) filter (y > 0) as positive from ex group by all",
     "exact_partition": f"""with h as (select event_id, row_number() over (order by {hash_sql('worker', 'event_id')}, event_id) - 1 k, count(*) over () t from events) select floor(k * 7 / t)::int as worker, count(*) as n, sum(event_id)::bigint as ids from h group by 1""",

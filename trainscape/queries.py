@@ -8,13 +8,13 @@ from collections.abc import Callable
 from functools import reduce
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from trainscape.functions.hashing import portable_hash
 from trainscape.functions.losses import HingeLoss, LogisticLoss
 from trainscape.operators import asynchronous, clustering, features, joins, linear, metrics, nets, partition, patterns
-from trainscape.plans import analytic, channels, constants, designs, estimator, lifetime, pipeline, tasks, whatif
+from trainscape.plans import analytic, channels, constants, designs, estimator, experiments, lifetime, pipeline, tasks, whatif
 from trainscape.plans.job import JobSpec, LrSchedule, StopRule
 from trainscape.sources.tables import load, shared_folder
 from trainscape.streaming import retrain
@@ -329,6 +329,103 @@ def sparse_lr_step(spark, sf_dir):
     return rounded(model, "value")
 
 
+def _two_sparse_steps(x, y, dims, loss, key):
+    x = x.persist()
+    model = x.sparkSession.createDataFrame([], "coord int, value double")
+    for _ in range(2):
+        model = linear.sparse_step(model, linear.sparse_gradient(x, y, model, loss, key, dims), 1.0)
+    return rounded(model, "value")
+
+
+def sparse_svm_step(spark, sf_dir):
+    x, y, meta = tasks.task_text(spark, sf_dir)
+    return _two_sparse_steps(x, y, meta.dims, HingeLoss(), "doc_id")
+
+
+def ctr_lr_step(spark, sf_dir):
+    x, y, meta = tasks.task_ctr(spark, sf_dir)
+    return _two_sparse_steps(x, y, meta.dims, LogisticLoss(), "event_id")
+
+
+def sparse_kmeans(spark, sf_dir):
+    """One step of three clusters on text weights, from the first three documents."""
+    x, _, _ = tasks.task_text(spark, sf_dir)
+    x = x.persist()
+    first = x.select("doc_id").distinct().orderBy("doc_id").limit(3).select("doc_id", (F.row_number().over(Window.orderBy("doc_id")) - 1).alias("cluster"))
+    start = x.join(F.broadcast(first), "doc_id").select("cluster", "coord", "value").persist()
+    _, at = clustering.sparse_em_step(x, start, "doc_id")
+    return at.groupBy("cluster").agg(F.count("*").alias("n"), (F.round(F.sum("d"), 6) + F.lit(0.0)).alias("loss"))
+
+
+def wide_lr_steps(spark, sf_dir):
+    df, meta = tasks.task_wide4096(spark, sf_dir)
+    w, _ = linear.block_train(df.where("split = 'train'").persist(), LogisticLoss(), 1.0, 2, meta.dims)
+    return model_frame(spark, w)
+
+
+def wide_svm_steps(spark, sf_dir):
+    df, meta = tasks.task_wide4096(spark, sf_dir)
+    _, losses = linear.block_train(df.where("split = 'train'").persist(), HingeLoss(), 1.0, 3, meta.dims)
+    return rounded(spark.createDataFrame(list(enumerate(losses)), "step int, loss double"), "loss")
+
+
+def wide_kmeans(spark, sf_dir):
+    df, _ = tasks.task_wide4096(spark, sf_dir)
+    df = df.persist()
+    c = np.array([r["x"] for r in df.orderBy("vec_id").limit(10).collect()])
+    losses = []
+    for _ in range(2):
+        c, loss, _ = clustering.block_em_step(df, c)
+        losses.append(loss)
+    return rounded(spark.createDataFrame(list(enumerate(losses)), "step int, loss double"), "loss")
+
+
+def algorithm_comparison(spark, sf_dir):
+    return experiments.compare_algorithms(spark, sf_dir, workers=4, batches=4, rates=(0.3,), threshold=0.66, limits={"ga": 3, "ma": 6, "admm": 2})
+
+
+def sync_protocols(spark, sf_dir):
+    return experiments.sync_against_async(spark, sf_dir, DELAYS, ASYNC_STEPS, 2)
+
+
+def systems_end_to_end(spark, sf_dir):
+    return experiments.end_to_end(spark, sf_dir, rounds=1)
+
+
+def model_validation(spark, sf_dir):
+    return rounded(experiments.validate_model(spark, (1, 10)), "predicted_s", "replayed_s", "abs_error", "rel_error")
+
+
+def pattern_table(spark, sf_dir):
+    return rounded(experiments.pattern_table(spark), "all_reduce_s", "scatter_reduce_s")
+
+
+def cache_threads(spark, sf_dir):
+    return rounded(experiments.single_against_multi_thread(spark), "ratio")
+
+
+def rpc_servers(spark, sf_dir):
+    return rounded(experiments.rpc_servers(spark), "seconds")
+
+
+def memory_failures(spark, sf_dir):
+    return experiments.memory_failures(spark)
+
+
+def workers_sweep(spark, sf_dir):
+    return rounded(experiments.workers_sweep(spark).select("task", "algo", "infra", "w", "runtime_s", "dollars"), "runtime_s", "dollars")
+
+
+def instance_scatter(spark, sf_dir):
+    return rounded(experiments.instance_scatter(spark), "runtime_s", "dollars")
+
+
+def payload_reduce(spark, sf_dir):
+    """The mean of a made 12 MB statistic of ten workers, per thousand coordinates."""
+    m = patterns.scatter_reduce(patterns.payload(spark, 12_000_000, 10), 10)
+    return rounded(m.groupBy(F.floor(F.col("coord") / 1000).alias("block")).agg(F.sum("value").alias("value"), F.count("*").alias("n")), "value")
+
+
 def retrain_stream(spark, sf_dir):
     trainer = retrain.Retrainer(steps=2)
     trainer.run(retrain.event_stream(spark, f"{sf_dir}/events.parque*", 10_000), f"{shared_folder(spark).rstrip('/')}/retrain-{uuid.uuid4().hex}")
@@ -371,6 +468,7 @@ _NAMES = """dense28_features split_balance exact_partition minmax_scale tfidf_te
 lr_admm kmeans_em allreduce_mean scatter_reduce_mean tree_reduce_mean two_phase_missing grid_search_lr pipeline_end_to_end tag_imbalance auc_toxic class_metrics stability_lag
 table_constants rpc_table startup_curve runtime_fs_grid runtime_vc_grid runtime_hp_grid runtime_bounds cost_grid_pareto regime_crossover whatif_fast_link whatif_hot_data
 multitenant_peaks multitenant_policies design_space breakdown_phases speedup_sanity channel_relative pattern_ledger async_schedule lr_async lr_async_add lifetime_restarts
-epoch_estimate conv_net_steps residual_net_steps conv_net_ma sparse_lr_step retrain_stream session_arrivals price_as_of job_overlaps estimate_sample hash_buckets""".split()
+epoch_estimate conv_net_steps residual_net_steps conv_net_ma sparse_lr_step sparse_svm_step ctr_lr_step sparse_kmeans wide_lr_steps wide_svm_steps wide_kmeans
+algorithm_comparison sync_protocols systems_end_to_end model_validation pattern_table cache_threads rpc_servers memory_failures workers_sweep instance_scatter payload_reduce retrain_stream session_arrivals price_as_of job_overlaps estimate_sample hash_buckets""".split()
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {n: globals()[n] for n in _NAMES}
