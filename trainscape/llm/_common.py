@@ -12,6 +12,8 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from trainscape.sources.tables import load as table  # noqa: F401
+
 #: Rows of ids or thresholds that may be broadcast (16 to 40 bytes each).
 BROADCAST_ROWS = 500_000
 #: Characters of text that a Python kernel holds decoded at a time.
@@ -20,10 +22,6 @@ CHUNK_CHARS = 2_000_000
 WORD = r"[^\x20\x09-\x0D]+"
 
 
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
-
-
 def shared_dir(spark: SparkSession) -> str:
     """The folder that all machines share; a temporary one only if none is set."""
     path = spark.conf.get("spark.checkpoint.dir", None)
