@@ -38,8 +38,8 @@ def async_train(examples: DataFrame, feats: list[str], loss, lr: float, schedule
     wave. The step size falls with the root of the worker's epoch.
     """
     order = [r.asDict() for r in schedule.orderBy("version_written").collect()]
-    rows = examples.where("split = 'train'").select("worker", "batch", "y", *feats).persist()
-    held = examples.where("split = 'validation'").select("y", *feats).persist()
+    kept = examples.select("split", "worker", "batch", "y", *feats).persist()
+    rows, held = kept.where("split = 'train'"), kept.where("split = 'validation'")
     versions: dict[int, np.ndarray] = {0: np.zeros(len(feats) + 1)}
     done: list[dict] = []
     while len(done) < len(order):
@@ -70,8 +70,7 @@ def async_train(examples: DataFrame, feats: list[str], loss, lr: float, schedule
     losses = held.agg(*(F.avg(loss.value(F.col("y") * score(e["w"], feats))).alias(f"l{i}") for i, e in enumerate(done))).first() if done else {}
     for i, e in enumerate(done):
         e["loss"] = losses[f"l{i}"]
-    rows.unpersist()
-    held.unpersist()
+    kept.unpersist()
     return last, done
 
 

@@ -16,13 +16,20 @@ def minmax_fit(df: DataFrame, cols: list[str]) -> DataFrame:
 
 
 def minmax_apply(df: DataFrame, stats: DataFrame, cols: list[str]) -> DataFrame:
-    """Scales to [-1, 1]; constant columns and nulls become 0."""
+    """Scales to [-1, 1]; constant columns and nulls become 0.
+
+    The one row of bounds is fetched here and becomes part of the plan, so that
+    later passes over the scaled rows do not look for it again.
+    """
+    bounds = stats.first()
+
     def scaled(c: str) -> Column:
-        lo, hi = F.col(f"{c}_lo"), F.col(f"{c}_hi")
-        return F.coalesce(F.when(hi > lo, (F.col(c) - lo) / (hi - lo) * 2.0 - 1.0), F.lit(0.0))
+        lo, hi = bounds[f"{c}_lo"], bounds[f"{c}_hi"]
+        if lo is None or not hi > lo:
+            return F.lit(0.0)
+        return F.coalesce((F.col(c) - F.lit(lo)) / (F.lit(hi) - F.lit(lo)) * 2.0 - 1.0, F.lit(0.0))
 
-    joined = df.crossJoin(F.broadcast(stats))  # one row
-    return joined.select(*(scaled(c).alias(c) if c in cols else F.col(c) for c in df.columns))
+    return df.select(*(scaled(c).alias(c) if c in cols else F.col(c) for c in df.columns))
 
 
 def plant_label(df: DataFrame, feats: list[str], keys: list[str], noise: float = 16.0, offset: float = 0.39) -> DataFrame:

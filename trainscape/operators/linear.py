@@ -43,12 +43,12 @@ def gradient(examples: DataFrame, w: np.ndarray, feats: list[str], loss) -> tupl
 
 
 def layout(examples: DataFrame, feats: list[str], workers: int, keys: list[str], table: str | None = None) -> DataFrame:
-    """Training rows with each worker whole in one partition, in batch order.
+    """The rows with each worker whole in one partition, in batch order.
 
     Kept in memory and on disk for the rounds; with a table name written once,
     bucketed by worker and sorted, so later scans need no exchange.
     """
-    rows = examples.select("worker", "batch", *keys, "y", *feats)
+    rows = examples.select("split", "worker", "batch", *keys, "y", *feats)
     if table:
         rows.write.mode("overwrite").bucketBy(workers, "worker").sortBy("worker", "batch", *keys).saveAsTable(table)
         return examples.sparkSession.table(table)
@@ -138,8 +138,8 @@ def train(examples: DataFrame, feats: list[str], keys: list[str], job: JobSpec,
     job.validate()
     spark, d = examples.sparkSession, len(feats) + 1
     w = np.zeros(d) if w0 is None else np.array(w0, float)
-    fit, held = examples.where("split = 'train'"), examples.where("split = 'validation'").select("y", *feats).persist()
-    rows = layout(fit, feats, job.workers, keys, table) if job.algorithm != "ga" else fit.select("worker", "batch", "y", *feats).persist()
+    laid = layout(examples, feats, job.workers, keys, table) if job.algorithm != "ga" else examples.select("split", "worker", "batch", "y", *feats).persist()
+    rows, held = laid.where("split = 'train'"), laid.where("split = 'validation'")
     history, trace, status, n_round = [], [], None, 0
     n_msgs, parts = transfers(job.pattern, "object_store", job.workers)
     if resume and -1 in resume:
@@ -202,9 +202,8 @@ def train(examples: DataFrame, feats: list[str], keys: list[str], job: JobSpec,
             history.append({"round": n_round, "loss": loss, "moved": moved, "primal": primal, "dual": job.rho * np.sqrt(job.workers) * float(np.linalg.norm(w - before))})
             status = job.stop.reason(n_round, loss, moved)
     finally:
-        held.unpersist()
         if not table:
-            rows.unpersist()
+            laid.unpersist()
     return TrainResult(w, history, status, trace)
 
 
@@ -216,7 +215,8 @@ def tune_lr(examples: DataFrame, feats: list[str], loss, rates: list[float], epo
     """
     d, spark = len(feats) + 1, examples.sparkSession
     w = {i: np.zeros(d) for i in range(len(rates))}
-    fit, held = examples.where("split = 'train'").persist(), examples.where("split = 'validation'")
+    kept = examples.select("split", "batch", "y", *feats).persist()
+    fit, held = kept.where("split = 'train'"), kept.where("split = 'validation'")
     for _ in range(epochs):
         for t in range(batches):
             slopes = fit.where(F.col("batch") == t).select(*feats, *((loss.slope(F.col("y") * score(w[i], feats)) * F.col("y")).alias(f"_c{i}") for i in w))
@@ -225,7 +225,7 @@ def tune_lr(examples: DataFrame, feats: list[str], loss, rates: list[float], epo
                 g = np.array([row[f"_{i}_{j}"] or 0.0 for j in range(d - 1)] + [row[f"_{i}_b"] or 0.0]) / max(row["n"], 1)
                 w[i] = w[i] - rates[i] * (g + loss.l2 * np.append(w[i][:-1], 0.0))
     losses = held.agg(*(F.avg(loss.value(F.col("y") * score(w[i], feats))).alias(f"l{i}") for i in w)).first()
-    fit.unpersist()
+    kept.unpersist()
     return spark.createDataFrame([(float(r), losses[f"l{i}"], [float(v) for v in w[i]]) for i, r in enumerate(rates)], "lr double, loss double, w array<double>")
 
 

@@ -36,7 +36,7 @@ def model_frame(spark: SparkSession, w: np.ndarray) -> DataFrame:
 
 def dense28_features(spark, sf_dir):
     df, _ = tasks.task_dense28(spark, sf_dir)
-    return rounded(df.select(*KEYS, *DENSE, "y", "split", "worker", "batch"), *DENSE)
+    return df.select(*KEYS, *DENSE, "y", "split", "worker", "batch")
 
 
 def split_balance(spark, sf_dir):

@@ -11,14 +11,22 @@ from pyspark.sql import types as T
 #: Numbers that the driver may collect for one model; beyond it models stay in coordinate form.
 COLLECT_LIMIT = 10_000_000
 
+#: A single file under this many bytes is read by few tasks and left so.
+SPREAD_BYTES = 2_000_000
+
 
 class SchemaMismatch(ValueError):
     """A frame lacks a column or holds another type."""
 
 
 def load(spark: SparkSession, sf_dir: str, name: str, cols: list[str] | None = None) -> DataFrame:
-    df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
-    return df.select(*cols) if cols else df
+    """A table's columns. A table that is one file may be one task's work, so its rows are dealt out to all cores; folders of files are read as they lie."""
+    path = f"{sf_dir}/{name}.parquet"
+    df = spark.read.parquet(path)
+    df = df.select(*cols) if cols else df
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    status = where.getFileSystem(spark._jsc.hadoopConfiguration()).getFileStatus(where)
+    return df.repartition(spark.sparkContext.defaultParallelism) if status.isFile() and status.getLen() > SPREAD_BYTES else df
 
 
 def read_any(spark: SparkSession, path: str, fmt: str = "parquet", schema: T.StructType | str | None = None, **options) -> DataFrame:
