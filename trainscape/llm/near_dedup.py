@@ -96,20 +96,20 @@ def _compare(width: int, percent: int):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes, last, held = _WordHashes(), None, None
-        for batch in batches:
-            a = batch.column("a").to_pylist()
-            linked, size, added, left = [], [], [], []
-            for i in range(batch.num_rows):
-                if a[i] != last:
-                    last, held = a[i], shingle_sets([batch.column("text_a")[i].as_py()], width, hashes)[0]
-                other = shingle_sets([batch.column("text_b")[i].as_py()], width, hashes)[0]
-                more, less = np.setdiff1d(other, held, assume_unique=True), np.setdiff1d(held, other, assume_unique=True)
-                common = len(held) - len(less)
-                linked.append(bool(common) and 100 * common >= percent * (len(held) + len(more)))
-                size.append(len(held))
-                added.append(more.view(_SIGNED))
-                left.append(less.view(_SIGNED))
-            yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array(linked, pa.bool_()), pa.array(size, pa.int64()), pa.array(added, pa.list_(pa.int64())), pa.array(left, pa.list_(pa.int64()))], ["a", "b", "linked", "size", "added", "missing"])
+        for whole in batches:
+            for batch in text_chunks(whole, "text_b"):
+                linked, size, added, left = [], [], [], []
+                for i, a in enumerate(batch.column("a").to_pylist()):
+                    if a != last:
+                        last, held = a, shingle_sets([batch.column("text_a")[i].as_py()], width, hashes)[0]
+                    other = shingle_sets([batch.column("text_b")[i].as_py()], width, hashes)[0]
+                    more, less = np.setdiff1d(other, held, assume_unique=True), np.setdiff1d(held, other, assume_unique=True)
+                    common = len(held) - len(less)
+                    linked.append(bool(common) and 100 * common >= percent * (len(held) + len(more)))
+                    size.append(len(held))
+                    added.append(more.view(_SIGNED))
+                    left.append(less.view(_SIGNED))
+                yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array(linked, pa.bool_()), pa.array(size, pa.int64()), pa.array(added, pa.list_(pa.int64())), pa.array(left, pa.list_(pa.int64()))], ["a", "b", "linked", "size", "added", "missing"])
 
     return run
 

@@ -140,12 +140,13 @@ def parse_record(data: bytes) -> dict:
 
 def _write(folder: str, package_bytes: int, always64: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        partition, made = TaskContext.get().partitionId(), 0
+        task, made = TaskContext.get(), 0
+        name = f"part-{task.partitionId():06d}-{task.taskAttemptId()}"  # attempts may hold rows in other orders; only one attempt's names are returned
         records, index, held = bytearray(), [], 0
 
         def close() -> pa.RecordBatch:
             nonlocal made, held
-            uri = join(folder, f"part-{partition:06d}-{made:06d}.wacz")
+            uri = join(folder, f"{name}-{made:06d}.wacz")
             write_whole(uri, zip_bytes([(RECORDS, bytes(records)), (INDEX, "".join(index).encode("utf-8", "surrogatepass"))], always64))
             row = pa.RecordBatch.from_arrays([pa.array([uri]), pa.array([len(index)], pa.int64())], ["uri", "records"])
             made, held = made + 1, 0
