@@ -233,3 +233,15 @@ def test_exact_workers_are_even(spark):
     assert sorted(r["count"] for r in got) == [25, 26, 26, 26]
     few = partition.assign_workers(spark.range(2), ["id"], 4, "exact").count()
     assert few == 2
+
+
+def test_random_centroids_do_not_depend_on_layout(data):
+    df = data[0]
+    a, b = (clustering.random_rows(df.repartition(n), FEATS, 4, ["id"]) for n in (1, 7))
+    assert (a == b).all() and not np.allclose(a, clustering.random_rows(df, FEATS, 4, ["id"], "other"))
+
+
+def test_stratified_sample(spark):
+    df = spark.range(4000).withColumn("s", F.when(F.col("id") % 4 == 0, "a").when(F.col("id") % 4 == 1, "b"))
+    n = {r["s"]: r["count"] for r in partition.sample_stratified(df, ["id"], "s", {"a": 1.0, "b": 0.1}, 0.5).groupBy("s").count().collect()}
+    assert n["a"] == 1000 and 60 < n["b"] < 140 and 900 < n[None] < 1100

@@ -20,6 +20,12 @@ def first_rows(rows: DataFrame, feats: list[str], k: int, keys: list[str]) -> np
     return np.array([[float(r[f]) for f in feats] for r in rows.select(*keys, *feats).orderBy(*keys).limit(k).collect()]).reshape(-1, len(feats))
 
 
+def random_rows(rows: DataFrame, feats: list[str], k: int, keys: list[str], seed: str = "") -> np.ndarray:
+    """The k rows of smallest hash as centroids; the same rows for a seed however the data lie."""
+    h = portable_hash(f"init{seed}", *keys)
+    return np.array([[float(r[f]) for f in feats] for r in rows.select(h.alias("_h"), *keys, *feats).orderBy("_h", *keys).limit(k).collect()]).reshape(-1, len(feats))
+
+
 def spread_rows(rows: DataFrame, feats: list[str], k: int, keys: list[str], rounds: int = 4, seed: str = "") -> np.ndarray:
     """Centroids by oversampling: each round keeps rows by hash with a chance that grows with their distance; then the most weighty k are chosen greedily."""
     chosen = first_rows(rows, feats, 1, keys)
@@ -98,7 +104,7 @@ def em_step(rows: DataFrame, centroids: np.ndarray, feats: list[str]) -> tuple[n
 
 def em_kmeans(rows: DataFrame, feats: list[str], k: int, keys: list[str], iters: int = 10, init: str = "first", tol: float = 0.0, threshold: float | None = None) -> tuple[np.ndarray, list[float]]:
     """(centroids, loss of each iteration). Stops at the threshold, or when no centroid moves by more than tol squared."""
-    start = {"first": first_rows, "spread": spread_rows}[init]
+    start = {"first": first_rows, "random": random_rows, "spread": spread_rows}[init]
     rows = rows.persist()
     centroids, losses = start(rows, feats, k, keys), []
     for _ in range(iters):

@@ -46,6 +46,14 @@ def sample_hash(df: DataFrame, keys: list[str], fraction: float) -> DataFrame:
     return df.where(portable_hash("sample", *keys) < int(fraction * SPAN))
 
 
+def sample_stratified(df: DataFrame, keys: list[str], stratum: str, fractions: dict, default: float = 0.0) -> DataFrame:
+    """The rows whose sample hash is in the first part of its range that their stratum names; a null stratum takes the default."""
+    limit = F.lit(int(default * SPAN))
+    for value, fraction in fractions.items():
+        limit = F.when(F.col(stratum) == F.lit(value), F.lit(int(fraction * SPAN))).otherwise(limit)
+    return df.where(portable_hash("sample", *keys) < limit)
+
+
 def class_balance(df: DataFrame, label: str) -> DataFrame:
     """(label, n, share) of each class."""
     counts = df.groupBy(F.col(label).alias("label")).agg(F.count("*").alias("n"))
