@@ -127,13 +127,14 @@ def sparse_assign(features: DataFrame, centroids: DataFrame, key: str) -> DataFr
     """(key, cluster, d): the nearest of centroids (cluster, coord, value) for rows (key, coord, value), of equal ones the smallest.
 
     Distances are |x|^2 - 2 x c + |c|^2, so only coordinates of both sides meet;
-    clusters without a shared coordinate count with x c = 0.
+    clusters without a shared coordinate count with x c = 0. They are compared
+    to nine digits, so that a tie does not hang on the order of a sum.
     """
     norms = features.groupBy(key).agg(F.sum(F.col("value") * F.col("value")).alias("xx"))
     sizes = centroids.groupBy("cluster").agg(F.sum(F.col("value") * F.col("value")).alias("cc"))
     meet = features.join(centroids.withColumnRenamed("value", "c"), "coord").groupBy(key, "cluster").agg(F.sum(F.col("value") * F.col("c")).alias("xc"))
     every = norms.crossJoin(F.broadcast(sizes))  # k rows
-    d = F.col("xx") - 2 * F.coalesce("xc", F.lit(0.0)) + F.col("cc")
+    d = F.round(F.col("xx") - 2 * F.coalesce("xc", F.lit(0.0)) + F.col("cc"), 9)
     best = every.join(meet, [key, "cluster"], "left").select(key, F.struct(d.alias("d"), "cluster").alias("m")).groupBy(key).agg(F.min("m").alias("m"))
     return best.select(key, "m.cluster", "m.d")
 
