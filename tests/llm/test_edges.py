@@ -116,3 +116,12 @@ def test_components(spark):
     want = {2: 1, 3: 1, 9: 1, 20: 10, 30: 10} | {i: 100 for i in range(101, 160)} | {i: 200 for i in range(201, 241)}
     assert {k: v for k, v in got.items() if k != v} == want
     assert connected_components(spark.createDataFrame([], "a long, b long")).count() == 0
+
+
+def test_toxicity_keeps_rare_expressions(spark):
+    rows = [(i, f"{'vile ' if i % 4 == 0 else ''}plain w{chr(97 + i % 26)} talk of w{chr(97 + i // 26)} and u{chr(97 + i % 26)}{chr(97 + i // 26)}", int(i % 4 == 0)) for i in range(400)]
+    rows += [(1000 + i, f"a{chr(97 + i)}b grumblor x{chr(97 + i)}y words", 1) for i in range(5)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, toxic int")
+    model = toxicity.learn_toxicity(df.select("doc_id", "text"), df.select("doc_id", "toxic"))
+    rare, common = model.scores(["so grumblor it", "so plain it"])
+    assert rare > common and rare > 0.5
