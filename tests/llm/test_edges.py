@@ -125,3 +125,12 @@ def test_toxicity_keeps_rare_expressions(spark):
     model = toxicity.learn_toxicity(df.select("doc_id", "text"), df.select("doc_id", "toxic"))
     rare, common = model.scores(["so grumblor it", "so plain it"])
     assert rare > common and rare > 0.5
+
+
+def test_toxicity_drops_only_confirmed_copies_of_a_class(spark):
+    shared = "this very passage stands in each of them"
+    rows = [(i, i % 2, 0, f"{shared} " + " ".join(f"v{i}x{k}" for k in range(5))) for i in range(40)]
+    long = " ".join(f"z{k}" for k in range(60))
+    rows += [(100, 1, 0, long), (101, 1, 0, long + " end"), (102, 0, 0, long), (103, 0, 0, long)]
+    sample = spark.createDataFrame(rows, "doc_id long, toxic int, part int, text string")
+    assert sorted(r["doc_id"] for r in toxicity._distinct(sample).collect()) == [*range(40), 100, 102]
