@@ -2,6 +2,7 @@
 
 import random
 
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -152,3 +153,8 @@ def test_secrets_of_many_parts_are_found_whole():
     assert secret_scan.find_secrets("Zx81kQpL0vN3sT7uWyB2 is the token") == [(0, 3, 20)]
     mixed = "auth Zx81kQpL0vN3sT7uWyB2" + "0123456789abcdef" * 2 + "ZQ4mLk8RtY2uHs6VbN1x"
     assert [k for _, k, _ in secret_scan.find_secrets(mixed)] == [3, 2, 3]
+
+
+def test_both_texts_of_one_id_are_compared():
+    batch = pa.RecordBatch.from_pydict({"a": [1, 1], "b": [2, 2], "text_a": ["x y z u", "p q r s"], "text_b": ["p q r s"] * 2})
+    assert [out.column("linked").to_pylist() for out in near_dedup._compare(3, 80)([batch])] == [[False, True]]

@@ -100,8 +100,9 @@ def _compare(width: int, percent: int):
             for batch in text_chunks(whole, "text_b"):
                 linked, size, added, left = [], [], [], []
                 for i, a in enumerate(batch.column("a").to_pylist()):
-                    if a != last:
-                        last, held = a, shingle_sets([batch.column("text_a")[i].as_py()], width, hashes)[0]
+                    text = batch.column("text_a")[i].as_py()
+                    if (a, text) != last:
+                        last, held = (a, text), shingle_sets([text], width, hashes)[0]
                     other = shingle_sets([batch.column("text_b")[i].as_py()], width, hashes)[0]
                     more, less = np.setdiff1d(other, held, assume_unique=True), np.setdiff1d(held, other, assume_unique=True)
                     common = len(held) - len(less)
