@@ -14,7 +14,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from tests.conftest import SF, TABLES, same_rows
-from trainscape.llm import html_extract, language_id, mixing, near_dedup, quality_rules, secret_scan, sentencepiece_fst, topk_search, toxicity, warc_zip
+from trainscape.llm import html_extract, language_id, mixing, near_dedup, quality_rules, secret_scan, sentencepiece_fst, toxicity, warc_zip
 from trainscape.llm._storage import RangeReader
 from trainscape.llm.queries import ORACLES, QUERIES
 
@@ -260,19 +260,6 @@ def test_novel_secrets():
     assert secret_scan.novelty("Zx81kQpL0vN3sT7uWyB2", "", "") > secret_scan.novelty("password_password_passw", "", "")
 
 
-def test_search_prunes_exactly():
-    r = np.random.default_rng(2)
-    centre = r.normal(size=(20, 8)) * 400
-    x = np.floor(np.repeat(centre, 50, axis=0) + r.normal(size=(1000, 8)) * 10)
-    q = x[::97]
-    ids = np.arange(1000) * 3
-    got = topk_search.search_blocks(q, ids[::97], x, ids, 5, 32)
-    for k, (s, i) in enumerate(got):
-        every = (q[k] @ x.T).astype(np.int64)
-        want = sorted((-every[j], ids[j]) for j in range(1000) if ids[j] != ids[::97][k])[:5]
-        assert [(-a, b) for a, b in zip(s, i)] == want
-
-
 def test_language_held_out(spark):
     got = {r["doc_id"]: r for r in language_id.op10_language_id(spark, SMALL).collect()}
     rows = [(got[i]["lang_pred"] == lang) for i, lang in read(SMALL, "select doc_id, lang from documents") if got[i]["held_out"]]
