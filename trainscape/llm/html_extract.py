@@ -21,8 +21,8 @@ TRAIN_PAGES, TREES, DEPTH, STEP = 400, 40, 4, 0.2
 
 # Fixed values of HTML: element classes that decide how text is cut into blocks.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-RAW = frozenset("script style noscript template iframe svg math object textarea select title".split())
-INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var wbr".split())
+RAW = frozenset("script style template iframe svg textarea select title annotation annotation-xml".split())
+INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var wbr math semantics mfrac mi mn mo mover mpadded mphantom mroot mrow ms mspace msqrt mstyle msub msubsup msup mtext munder munderover".split())
 CLOSES_P = frozenset("address article aside blockquote center details dialog dir div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr main menu nav ol p pre section summary table ul".split())
 CLOSES_OWN = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",), "thead": ("tr", "td", "th"), "tbody": ("thead", "tr", "td", "th"), "tfoot": ("tbody", "tr", "td", "th")}
 SCOPES = {"li": ("ul", "ol", "menu"), "dt": ("dl",), "dd": ("dl",), "tr": ("table",), "td": ("table",), "th": ("table",), "thead": ("table",), "tbody": ("table",), "tfoot": ("table",)}
@@ -30,6 +30,8 @@ SCOPES = {"li": ("ul", "ol", "menu"), "dt": ("dl",), "dd": ("dl",), "tr": ("tabl
 _TOKEN = re.compile(r"""<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(?P<close>/?)(?P<tag>[a-zA-Z][^\s/>]*)(?P<rest>(?:[^>"']|"[^"]*"|'[^']*')*+)>|<(?P<close2>/?)(?P<tag2>[a-zA-Z][^\s/>]*)(?P<rest2>[^>]*)(?:>|\Z)""", re.S)
 _ATTR = re.compile(r"""(?:^|[\s/"'])(class|id|role|itemprop|aria-label|hidden)\s*(?:=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""", re.I | re.S)
 _PARTS = re.compile(r"[A-Z]?[a-z]+|[A-Z]+")
+#: Ends of raw elements; an end tag may hold white space and attributes, and the page may end inside one.
+_RAW_ENDS = {tag: re.compile(rf"</{tag}(?:[\s/][^>]*)?(?:>|\Z)", re.I) for tag in RAW}
 
 #: Attribute tokens, by what they usually hold.
 TOKENS = {
@@ -124,8 +126,8 @@ def parse_blocks(page: str) -> Node:
                 links -= 1
             continue
         if tag in RAW:
-            if not rest.endswith("/"):
-                stop = re.compile(rf"</{re.escape(tag)}(?:[\s/>]|\Z)[^>]*>?", re.I).search(page, at)
+            if tag != "svg" or not rest.endswith("/"):
+                stop = _RAW_ENDS[tag].search(page, at)
                 at = stop.end() if stop else end
             continue
         if tag == "br":
@@ -424,7 +426,8 @@ def main_texts(pages: list[str | None], trees: Trees) -> list[str]:
     margins = trees.margins(np.concatenate([x for _, x in parsed])) if parsed else np.zeros(0)
     out, at = [], 0
     for nodes, x in parsed:
-        out.append(" ".join(decode(nodes, margins[at : at + len(x)])) if nodes else "")
+        plain = all(n.text is not None for n in nodes[1:])
+        out.append(" ".join([n.text for n in nodes[1:]] if plain else decode(nodes, margins[at : at + len(x)])))
         at += len(x)
     return out
 
@@ -442,7 +445,12 @@ def _extract(trees: Trees):
 def extract_main_text(pages: DataFrame, trees: Trees | None = None) -> DataFrame:
     """(page_id, url, text, n_chars) of every page.
 
-    Null and empty html, and pages without main text, give an empty text.
+    Null and empty html, and pages without main text, give an empty text; a
+    page without any block element is its own main text. Bodies of scripts,
+    styles, templates, drawings (svg), frames, selections and text fields are
+    no text; formulas, objects and noscript are judged like other elements. A
+    node whose margin is 0 is kept as an element and dropped as a run of text.
+    Pages of any length are parsed whole, one at a time.
     Character references are decoded, white space in a block becomes one space,
     blocks are joined by one space in page order; nothing else is dropped from
     the blocks that are chosen. Rows are judged alone; other columns are ignored.
