@@ -39,7 +39,9 @@ def test_near_dedup(docs):
 
 
 def test_quality(docs):
-    got = {r["doc_id"]: r for r in quality_rules.quality_cascade(docs, measures=quality_rules.BASE).collect()}
+    rows = quality_rules.quality_cascade(docs, measures=quality_rules.BASE).collect()
+    got = {r["doc_id"]: r for r in rows}
+    assert len(rows) == n(docs)
     if got:
         assert got[2]["n_words"] == 0 and got[2]["rejected_by"] and got[1]["rejected_by"] is None and got[7]["n_words"] == 30_000
 

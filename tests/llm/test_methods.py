@@ -110,6 +110,15 @@ def test_cascade_order_does_not_change_verdicts(spark):
     assert sorted(r.name for r in plan) == sorted(r.name for r in quality_rules.RULES)
 
 
+def test_few_distinct_words_at_any_length():
+    rule = next(r for r in quality_rules.RULES if r.name == "few_distinct")
+    r = random.Random(3)
+    for n in (150, 1999, 2000, 50_000):
+        poor = [r.choice("abcdefgh") for _ in range(n)]
+        rich = [f"w{r.randrange(2000)}" for _ in range(n)]
+        assert rule.rejects(quality_rules.Measures(" ".join(poor), near_dedup._WordHashes())) and not rule.rejects(quality_rules.Measures(" ".join(rich), near_dedup._WordHashes()))
+
+
 def test_quality_keeps_clean_documents(spark):
     kept = {r["doc_id"]: r["kept"] for r in quality_rules.op2_quality_rules(spark, SMALL).collect()}
     rows = read(SMALL, "select doc_id, quality from labels")

@@ -16,6 +16,8 @@ from trainscape.llm.near_dedup import _WordHashes
 
 BLANK = " \t\n\r\x0b\x0c"
 SYMBOLS = "#*$%&|<>"
+#: Distinct words are counted in stretches of this many words, so that a text's length does not matter.
+STRETCH = 100
 #: Rows on which costs and selectivities are estimated; they decide the order only, never a verdict.
 SAMPLE_ROWS = 512
 
@@ -65,7 +67,7 @@ _MEASURES: dict[str, Callable[[Measures], object]] = {
     "n_dup_lines": _dup_lines,
     "n_repeat_words": _repeat_words,
     "n_marks": lambda m: m.text.count("!") + m.text.count("?"),
-    "n_distinct": lambda m: len(set(m.words)),
+    "n_fresh": lambda m: sum(len(set(m.words[i : i + STRETCH])) for i in range(0, len(m.words), STRETCH)),
 }
 
 
@@ -85,7 +87,7 @@ RULES = (
     Rule("word_length", lambda m: not 3 * m.n_words <= m.word_chars <= 10 * m.n_words, "word_chars < 3 * n_words or word_chars > 10 * n_words"),
     Rule("dup_lines", lambda m: 10 * m.n_dup_lines > 4 * m.n_lines, "10 * n_dup_lines > 4 * n_lines"),
     Rule("marks", lambda m: 4 * m.n_marks > m.n_words, "4 * n_marks > n_words"),
-    Rule("few_distinct", lambda m: 5 * m.n_distinct < m.n_words and m.n_words < 2000, "5 * n_distinct < n_words and n_words < 2000"),
+    Rule("few_distinct", lambda m: 5 * m.n_fresh < m.n_words, "5 * n_fresh < n_words"),
 )
 BASE = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 
@@ -136,8 +138,9 @@ def quality_cascade(docs: DataFrame, rules: tuple[Rule, ...] = RULES, measures:
     Costs and selectivities are estimated on a bounded sample; texts that a
     rule rejects are not shown to later rules. The order never changes which
     texts are kept, only which rule is named. Null and empty texts have no
-    words and fail the length rule. Each row is judged alone, so repeated rows
-    and ids give repeated results; other columns are ignored.
+    words and fail the length rule; whole texts of any length are measured. Each
+    row is judged alone, so repeated rows and ids give repeated results; an
+    empty table gives none. Other columns are ignored.
     """
     ordered = plan_cascade(docs, rules)
     schema = ", ".join(["doc_id long", "rejected_by string", *(f"{m} long" for m in measures)])
@@ -159,7 +162,7 @@ with w as (select doc_id, coalesce(text, '') as text, regexp_extract_all(coalesc
  m as (select w.doc_id, len(words)::bigint as n_words, coalesce(list_sum(list_transform(words, lambda x: length(x))), 0)::bigint as word_chars,
               (length(text) - length(regexp_replace(text, '[#*$%&|<>]', '', 'g')))::bigint as n_symbols,
               (len(lines) - len(list_distinct(lines)))::bigint as n_dup_lines, coalesce(n_repeat_words, 0)::bigint as n_repeat_words,
-              len(lines) as n_lines, length(text) - length(regexp_replace(text, '[!?]', '', 'g')) as n_marks, len(list_distinct(words)) as n_distinct
+              len(lines) as n_lines, length(text) - length(regexp_replace(text, '[!?]', '', 'g')) as n_marks, len(list_distinct(list_transform(words, lambda x, i: ((i - 1) // 100)::varchar || ' ' || x))) as n_fresh
        from w left join r using (doc_id))
 select doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words,
        n_words < 10 or 100 * n_repeat_words > 20 * n_words as base_failed, not (""" + " or ".join(f"({r.sql})" for r in RULES) + """) as kept
