@@ -3,7 +3,6 @@ broadcasts, text chunking and distributed connected components."""
 
 from __future__ import annotations
 
-import tempfile
 from collections.abc import Iterator
 
 import numpy as np
@@ -12,37 +11,44 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from trainscape.sources.tables import cut_lineage as checkpointed
 from trainscape.sources.tables import load as table  # noqa: F401
+from trainscape.sources.tables import shared_folder as shared_dir  # noqa: F401
 
 #: Rows of ids or thresholds that may be broadcast (16 to 40 bytes each).
 BROADCAST_ROWS = 500_000
+#: A key is hot if its rows are over one in this many of a table, and over HOT_ROWS.
+HOT_SHARE, HOT_ROWS = 1000, 100
+#: Parts that the rows of one key are dealt into where its value is copied to each part.
+SALTS = 256
 #: Characters of text that a Python kernel holds decoded at a time.
 CHUNK_CHARS = 2_000_000
 #: Java and RE2 pattern of a word: anything but ASCII white space.
 WORD = r"[^\x20\x09-\x0D]+"
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that all machines share; a temporary one only if none is set."""
-    path = spark.conf.get("spark.checkpoint.dir", None)
-    context = spark.sparkContext
-    if not path:
-        current = context._jsc.sc().getCheckpointDir()
-        path = current.get() if current.isDefined() else tempfile.mkdtemp(prefix="trainscape-")
-    if not context._jsc.sc().getCheckpointDir().isDefined():
-        context.setCheckpointDir(path)
-    return path
+def small_side(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
+    """A computed df, marked for broadcast only if it has few rows; beyond that a shuffled join."""
+    return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
 
 
-def checkpointed(df: DataFrame) -> DataFrame:
-    """df, computed once and kept in the shared folder; cuts the lineage."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+def skew_join(left: DataFrame, right: DataFrame, keys: list[str], weight: str, total: int) -> DataFrame:
+    """The inner join with right, which has one row for each key and in `weight` the number of left's rows with it.
 
+    The hot keys of a left table of about `total` rows are few by their
+    definition, so their rows of right are broadcast; the others are shuffled.
+    """
+    bar = max(HOT_ROWS, total // HOT_SHARE)
+    hot = right.where(F.col(weight) > bar)
+    cold = left.join(F.broadcast(hot.select(*keys)), keys, "left_anti").join(right.where(F.col(weight) <= bar), keys)
+    return left.join(F.broadcast(hot), keys).unionByName(cold)
 
-def small_side(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
-    """A computed df, marked for broadcast only if it has few rows; beyond that a shuffled join."""
-    return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
+
+def salted_join(left: DataFrame, right: DataFrame, keys: list[str], spread: str) -> DataFrame:
+    """The inner join with right, which has few rows for each key: left's rows of one key are dealt out by the column
+    `spread`, and right's go once to each part that there is. For values too large to broadcast."""
+    left = left.withColumn("salt", F.pmod(F.xxhash64(spread), F.lit(SALTS)))
+    return left.join(left.select(*keys, "salt").distinct().join(right, keys), [*keys, "salt"]).drop("salt")
 
 
 def words_count(text: Column) -> Column:
@@ -80,19 +86,22 @@ def connected_components(links: DataFrame) -> DataFrame:
 
     Alternates two steps until nothing changes: each node's larger neighbours
     move to its smallest neighbour, then its smaller ones do. Minima are
-    partially aggregated, so a hub with very many links costs no single task.
+    partially aggregated and those of nodes with very many links are broadcast,
+    so a hub costs no single task.
     """
+
+    def seen(edges: DataFrame) -> tuple:
+        return tuple(edges.agg(F.count("*"), F.sum(F.hash("u", "v").cast("long")), F.bit_xor(F.xxhash64("u", "v"))).first())
+
     edges = checkpointed(links.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct())
-    last = None
-    while True:
+    last, state = None, seen(edges)
+    while state != last and state[0]:
+        last = state
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.where("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        low = both.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n")).select("u", F.least("u", "m").alias("m"), "n")
+        large = skew_join(both.where("v > u"), low, ["u"], "n", 2 * state[0]).select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u").select(F.explode(F.array(F.struct("u", F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e")).select("e.*").where("u <> v").distinct()
         edges = checkpointed(small)
-        state = edges.agg(F.count("*"), F.sum(F.hash("u", "v").cast("long")), F.bit_xor(F.xxhash64("u", "v"))).first()
-        if state == last:
-            break
-        last = state
+        state = seen(edges)
     return edges.select(F.col("u").alias("node"), F.col("v").alias("component"))

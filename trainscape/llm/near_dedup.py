@@ -10,7 +10,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from trainscape.llm._common import checkpointed, connected_components, mix64, small_side, table, text_chunks
+from trainscape.llm._common import checkpointed, connected_components, mix64, salted_join, skew_join, small_side, table, text_chunks
 
 #: 32 bands of 6 coordinates: two sets of similarity 0.85 share no band with probability 3e-7.
 ROWS_PER_BAND, BANDS = 6, 32
@@ -116,49 +116,84 @@ def _compare(width: int, percent: int):
 
 
 def _compared(pairs: DataFrame, texts: DataFrame, width: int, percent: int) -> DataFrame:
-    """(a, b, linked, size, added, missing) of pairs, on their full sets."""
+    """(a, b, linked, size, added, missing) of pairs, on their full sets; an a of very many pairs is dealt out."""
     ids = checkpointed(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct())
     wanted = texts.join(small_side(ids), "id", "left_semi")
     left = pairs.join(wanted.select(F.col("id").alias("b"), F.col("text").alias("text_b")), "b")
-    both = left.join(wanted.select(F.col("id").alias("a"), F.col("text").alias("text_a")), "a").select("a", "b", "text_a", "text_b")
+    both = salted_join(left, wanted.select(F.col("id").alias("a"), F.col("text").alias("text_a")), ["a"], "b").select("a", "b", "text_a", "text_b")
     return both.mapInArrow(_compare(width, percent), "a long, b long, linked boolean, size long, added array<long>, missing array<long>")
 
 
-def _stars(banded: DataFrame) -> DataFrame:
+def _stars(banded: DataFrame, total: int) -> DataFrame:
     """(a, b): every member b of a band with the band's hub a, the member whose bands have most members in all."""
-    sizes = banded.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
-    shared = checkpointed(banded.join(sizes, "key"))
+    sizes = checkpointed(banded.groupBy("key").agg(F.count("*").alias("n")).where("n > 1"))
+    shared = checkpointed(skew_join(banded, sizes, ["key"], "n", total))
     weight = shared.groupBy("id").agg(F.sum("n").alias("weight"))
     rank = F.col("weight") * 1_048_576 + F.pmod(F.xxhash64("id"), F.lit(1_048_576))
-    hubs = shared.join(weight, "id").groupBy("key").agg(F.max_by("id", rank).alias("a"))
-    return shared.join(hubs, "key").where("id <> a").select("a", F.col("id").alias("b")).distinct()
+    hubs = checkpointed(shared.join(weight, "id").groupBy("key").agg(F.max_by("id", rank).alias("a"), F.max("n").alias("n")))
+    return skew_join(shared.drop("n"), hubs, ["key"], "n", total).where("id <> a").select("a", F.col("id").alias("b")).distinct()
 
 
-def _within_stars(tested: DataFrame, percent: int) -> DataFrame:
-    """(a, b): the pairs of two members of one hub that may be linked though not both are linked to the hub.
-
-    With the hub's set of h elements, x adding ax and missing dx of them, and y
-    likewise, of which s are the same, x and y are linked if and only if
-    (100 + p) s >= 100 (dx + dy) + p (ax + ay) - (100 - p) h. If x is not linked
-    to the hub the right side is above 0, so s is too: the two share an added
-    element, or enough missing ones alone. Few pairs pass the sizes they need.
-    """
-    failed = tested.where("not linked").select("a").distinct()
-    rows = tested.join(failed, "a", "left_semi").select("a", "b", "linked", "size", "added", "missing", F.size("added").alias("n"), F.size("missing").alias("d"))
+def _judged(pairs: DataFrame, members: DataFrame, percent: int) -> DataFrame:
+    """(a, b): the linked ones of pairs (star, x, y), by what x and y share of their differences from the hub."""
+    sides = [members.select("star", *(F.col(c).alias(f"{c}{i}") for c in ("differences", "cost")), F.col("b").alias(i), *(["room"] if i == "x" else [])) for i in "xy"]
+    both = salted_join(pairs.join(sides[1], ["star", "y"]), sides[0], ["star", "x"], "y")
+    same = F.size(F.array_intersect("differencesx", "differencesy"))
+    return both.where((100 + percent) * same >= F.col("costx") + F.col("costy") - F.col("room")).select(F.col("x").alias("a"), F.col("y").alias("b")).distinct()
 
-    def meet(elements: str, spare) -> DataFrame:
-        sides = [rows.select("a", F.explode(elements).alias("e"), "size", *(F.col(c).alias(f"{c}{i}") for c in ("b", "linked", "n", "d"))) for i in "xy"]
-        right = sides[1].drop("size")
-        need = 100 * (F.col("dx") + F.col("dy")) + percent * (F.col("nx") + F.col("ny")) - (100 - percent) * F.col("size")
-        once = ~F.col("linkedx") & (F.col("bx") != F.col("by")) & (F.col("linkedy") | (F.col("bx") < F.col("by")))
-        sides[0] = sides[0].where("not linkedx")
-        return sides[0].join(right, ["a", "e"]).where(once & ((100 + percent) * spare >= need)).withColumn("need", need)
 
-    fewer_missing = F.least("dx", "dy").cast("long")
-    shared = meet("added", fewer_missing + F.least("nx", "ny")).groupBy("a", "bx", "by").agg(F.count("*").alias("same"), F.max("need").alias("need"), F.max(fewer_missing).alias("most"))
-    one = shared.where((100 + percent) * (F.col("same") + F.col("most")) >= F.col("need"))
-    two = meet("missing", fewer_missing)
-    return one.select("bx", "by").unionByName(two.select("bx", "by")).select(F.least("bx", "by").alias("a"), F.greatest("bx", "by").alias("b")).distinct()
+def _within_stars(tested: DataFrame, percent: int) -> DataFrame:
+    """(a, b): links between members of one hub's star that join what links to hubs leave apart.
+
+    A member that adds n elements to the hub's set of h and leaves out d costs
+    p n + 100 d. Two members that share s of their differences are linked if
+    and only if (100 + p) s >= their costs - (100 - p) h; one is linked to the
+    hub if its cost is at most (100 - p) h = room. So of a pair that links to
+    hubs leave apart one costs more than room, and s has a lower bound for the
+    cheaper member (its cost, and a partner of no less) and one for the dearer
+    (s >= (cost - room) / 100, as a partner costs at least p s). By these
+    bounds and with rare elements first, a short list of the cheaper one's
+    differences meets a long list of the dearer one's, so elements that mark
+    the hub and are shared by all are in no short list.
+
+    First the members of each element's short lists are compared with the
+    cheapest of them. Of the components that result, the largest of each star
+    needs no comparisons within; the members outside it are compared with all
+    that their lists meet in other components.
+    """
+    per_star = tested.groupBy("a").agg(F.count("*").alias("n"), F.min("linked").alias("whole")).where("n > 1 and not whole").select("a")
+    rows = tested.join(small_side(checkpointed(per_star)), "a", "left_semi")
+    cost = F.size("added") * percent + F.size("missing") * 100
+    members = checkpointed(rows.select(F.col("a").alias("star"), "b", "linked", cost.cast("long").alias("cost"), ((100 - percent) * F.col("size")).alias("room"), F.concat("added", "missing").alias("differences")))
+    known = ["star", "b", "linked", "cost", "room"]
+    each = members.select(*known, F.explode("differences").alias("e"))
+    often = checkpointed(each.groupBy("star", "e").agg(F.count("*").alias("n")))
+    total = often.agg(F.sum("n")).first()[0] or 0
+    if not total:
+        return tested.where("false").select("a", "b")
+    ranked = skew_join(each, often, ["star", "e"], "n", total).groupBy(*known).agg(F.sort_array(F.collect_list(F.struct("n", "e"))).alias("es"))
+
+    def listed(bound) -> DataFrame:
+        return F.filter(F.slice("es", 1, F.greatest(F.size("es") - F.greatest(F.ceil(bound), F.lit(1)) + 1, F.lit(0)).cast("int")), lambda x: x["n"] > 1)["e"]
+
+    cheap = (F.col("cost") + F.greatest(F.col("cost"), F.col("room") + 1) - F.col("room")) / (100 + percent)
+    lists = checkpointed(ranked.select("star", "b", "linked", "cost", listed(cheap).alias("short"), F.when(~F.col("linked"), listed((F.col("cost") - F.col("room")) / 100)).alias("long")))
+
+    short = lists.select("star", "b", "linked", "cost", F.explode("short").alias("e"))
+    centre = checkpointed(short.groupBy("star", "e").agg(F.min_by(F.struct(F.col("b").alias("x"), F.col("linked").alias("linkedx")), F.struct("cost", "b")).alias("c"), F.count("*").alias("n")).where("n > 1").select("star", "e", "c.*", "n"))
+    beside = skew_join(short, centre, ["star", "e"], "n", total).where("b <> x and not (linked and linkedx)")
+    first = checkpointed(_judged(beside.select("star", "x", F.col("b").alias("y")).distinct(), members, percent))
+
+    joined = connected_components(members.where("linked").select(F.col("star").alias("a"), "b").unionByName(first)).withColumnRenamed("node", "b")
+    placed = checkpointed(lists.join(joined, "b", "left").withColumn("component", F.coalesce("component", "b")))
+    parts = placed.groupBy("star", "component").agg(F.count("*").alias("n")).groupBy("star").agg(F.max_by("component", F.struct("n", "component")).alias("main"), F.sum("n").alias("n"))
+    parts = checkpointed(parts)
+    placed = checkpointed(skew_join(placed, parts, ["star"], "n", parts.agg(F.sum("n")).first()[0] or 0).withColumn("apart", F.col("component") != F.col("main")))
+    dear = placed.select("star", F.col("b").alias("y"), F.col("cost").alias("costy"), F.col("component").alias("componenty"), F.col("apart").alias("aparty"), F.explode("long").alias("e"))
+    low = placed.select("star", F.col("b").alias("x"), F.col("cost").alias("costx"), F.col("component").alias("componentx"), "apart", F.explode("short").alias("e"))
+    met = dear.where("aparty").join(low.drop("apart"), ["star", "e"]).drop("aparty").unionByName(dear.where("not aparty").drop("aparty").join(low.where("apart").drop("apart"), ["star", "e"]))
+    met = met.where("componentx <> componenty and (costx < costy or (costx = costy and x < y))").select("star", "x", "y").distinct()
+    return first.unionByName(_judged(met, members, percent))
 
 
 def near_dedup(docs: DataFrame, width: int = 5, percent: int = 80, rows: int = ROWS_PER_BAND, bands: int = BANDS) -> DataFrame:
@@ -170,34 +205,42 @@ def near_dedup(docs: DataFrame, width: int = 5, percent: int = 80, rows: int = R
     doc_id reachable over links.
 
     Equal sets form one class, of which only the smallest doc_id goes on.
-    Classes that share a band are compared with the band's hub; of the members
-    that are not linked to it those pairs are compared that their differences
-    from the hub leave possible (an exact bound), so no link between members of
-    a band is lost and a band of m members costs no m * m pairs. Every link is
-    confirmed on the full sets.
+    Classes that share a band are compared with the band's hub (of equals, the
+    one of the larger hash); members that stay apart are compared where their
+    differences from the hub allow a link (an exact bound), so members of a
+    band get the components that all their links would give. Every link is
+    exact on the full sets.
 
     Null, empty and wordless texts have an empty set and are linked with
-    nothing. Rows without a doc_id stay alone (component_id null, kept). Rows
-    with one doc_id and different texts share a node. Other columns are ignored.
+    nothing; texts of any length are taken whole. Rows without a doc_id stay
+    alone (component_id null, kept). Rows with one doc_id and different texts
+    share a node. An empty table gives no rows. Other columns are ignored.
     """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     sketched = checkpointed(docs.mapInArrow(_sketch(width, rows, bands), "doc_id long, n_shingles long, digest binary, bands array<long>"))
     real = sketched.where("doc_id is not null and n_shingles > 0")
-    classes = real.groupBy("digest", "n_shingles").agg(F.min("doc_id").alias("head"))
-    member = real.select("doc_id", "digest", "n_shingles").join(classes, ["digest", "n_shingles"])
-    same = member.where("doc_id <> head").select(F.col("head").alias("a"), F.col("doc_id").alias("b"))
+    classes = checkpointed(real.groupBy("digest", "n_shingles").agg(F.min("doc_id").alias("head"), F.count("*").alias("n")))
+    total = classes.agg(F.sum("n")).first()[0] or 0
 
     heads = real.join(classes.select(F.col("head").alias("doc_id")).distinct(), "doc_id", "left_semi")
     banded = checkpointed(heads.select(F.col("doc_id").alias("id"), F.explode("bands").alias("key")))
-    stars = checkpointed(_stars(banded))
+    stars = checkpointed(_stars(banded, total))
     texts = docs.where("doc_id is not null").select(F.col("doc_id").alias("id"), "text")
     tested = checkpointed(_compared(stars, texts, width, percent))
-    rest = checkpointed(_within_stars(tested, percent))
-    links = tested.where("linked").select("a", "b").unionByName(_compared(rest, texts, width, percent).where("linked").select("a", "b"))
-
-    final = connected_components(links.unionByName(same)).withColumnRenamed("node", "doc_id")
-    out = sketched.select("doc_id", "n_shingles").join(final, "doc_id", "left")
+    links = tested.where("linked").select("a", "b").unionByName(_within_stars(tested, percent))
+
+    member = checkpointed(skew_join(real.select("doc_id", "digest", "n_shingles"), classes, ["digest", "n_shingles"], "n", total).select("doc_id", "n_shingles", "head", "n"))
+    several = member.groupBy("doc_id").agg(F.collect_set("head").alias("heads")).where(F.size("heads") > 1)
+    links = links.unionByName(several.select(F.array_min("heads").alias("a"), F.explode("heads").alias("b")))
+    found = connected_components(links).withColumnRenamed("node", "head")
+    named = member.groupBy("head").agg(F.count("*").alias("n")).join(found, "head", "left").select("head", "n", F.coalesce("component", "head").alias("component"))
+    placed = checkpointed(skew_join(member.drop("n"), checkpointed(named), ["head"], "n", total).select("doc_id", "n_shingles", "component"))
+
+    wordless = sketched.where("doc_id is not null and n_shingles = 0").select("doc_id", "n_shingles")
+    wordless = wordless.join(placed.where("component <> doc_id").select("doc_id", "component").distinct(), "doc_id", "left")
+    nameless = sketched.where("doc_id is null").select("doc_id", "n_shingles", F.col("doc_id").alias("component"))
     component = F.coalesce("component", "doc_id")
+    out = placed.unionByName(wordless).unionByName(nameless)
     return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
 
 
