@@ -11,22 +11,17 @@ from pyspark.sql import types as T
 #: Numbers that the driver may collect for one model; beyond it models stay in coordinate form.
 COLLECT_LIMIT = 10_000_000
 
-#: A single file under this many bytes is read by few tasks and left so.
-SPREAD_BYTES = 2_000_000
-
 
 class SchemaMismatch(ValueError):
     """A frame lacks a column or holds another type."""
 
 
 def load(spark: SparkSession, sf_dir: str, name: str, cols: list[str] | None = None) -> DataFrame:
-    """A table's columns. A table that is one file may be one task's work, so its rows are dealt out to all cores; folders of files are read as they lie."""
-    path = f"{sf_dir}/{name}.parquet"
-    df = spark.read.parquet(path)
+    """A table's columns. Where the scan has fewer splits than the cluster has cores its rows are dealt out, so that none stands idle; other scans are read as they lie."""
+    df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
     df = df.select(*cols) if cols else df
-    where = spark._jvm.org.apache.hadoop.fs.Path(path)
-    status = where.getFileSystem(spark._jsc.hadoopConfiguration()).getFileStatus(where)
-    return df.repartition(spark.sparkContext.defaultParallelism) if status.isFile() and status.getLen() > SPREAD_BYTES else df
+    cores = spark.sparkContext.defaultParallelism
+    return df.repartition(cores) if df.rdd.getNumPartitions() < cores else df
 
 
 def read_any(spark: SparkSession, path: str, fmt: str = "parquet", schema: T.StructType | str | None = None, **options) -> DataFrame:
@@ -52,10 +47,14 @@ def check_schema(df: DataFrame, expected: dict[str, str]) -> DataFrame:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that the cluster shares for checkpoints; a temporary one only if none is set."""
+    """The folder that the cluster shares for checkpoints; a temporary one only if none is set and all runs on one machine."""
     path = spark.conf.get("spark.checkpoint.dir", None)
     current = spark.sparkContext._jsc.sc().getCheckpointDir()
-    path = path or (current.get() if current.isDefined() else tempfile.mkdtemp(prefix="trainscape-"))
+    path = path or (current.get() if current.isDefined() else None)
+    if not path:
+        if not spark.sparkContext.master.split("[")[0] == "local":
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all machines share")
+        path = tempfile.mkdtemp(prefix="trainscape-")
     if not current.isDefined():
         spark.sparkContext.setCheckpointDir(path)
     return path
