@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -60,9 +61,30 @@ def shared_folder(spark: SparkSession) -> str:
     return path
 
 
+def _hadoop(spark: SparkSession, path: str):
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return where.getFileSystem(spark._jsc.hadoopConfiguration()), where
+
+
 def cut_lineage(df: DataFrame) -> DataFrame:
-    shared_folder(df.sparkSession)
-    return df.checkpoint(eager=True)
+    """df, computed once and read again from Parquet in the shared folder, so that lost executors cost no earlier step and
+    joins know its size. The files go with the session, or by `forget`."""
+    spark = df.sparkSession
+    path = f"{shared_folder(spark).rstrip('/')}/steps/{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    store, where = _hadoop(spark, path)
+    store.deleteOnExit(where)
+    kept = spark.read.schema(df.schema).parquet(path)
+    kept.step_path = path
+    return kept
+
+
+def forget(*steps: DataFrame) -> None:
+    """Deletes the files of steps that cut_lineage wrote and nothing reads any more."""
+    for df in steps:
+        store, where = _hadoop(df.sparkSession, df.step_path)
+        store.delete(where, True)
+        store.cancelDeleteOnExit(where)
 
 
 CHECKPOINT = "run_id string, worker long, epoch int, iteration int, w array<double>, dual array<double>"
