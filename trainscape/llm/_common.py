@@ -12,6 +12,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from trainscape.sources.tables import cut_lineage as checkpointed
+from trainscape.sources.tables import forget
 from trainscape.sources.tables import load as table  # noqa: F401
 from trainscape.sources.tables import shared_folder as shared_dir  # noqa: F401
 
@@ -102,6 +103,9 @@ def connected_components(links: DataFrame) -> DataFrame:
         large = skew_join(both.where("v > u"), low, ["u"], "n", 2 * state[0]).select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u").select(F.explode(F.array(F.struct("u", F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e")).select("e.*").where("u <> v").distinct()
-        edges = checkpointed(small)
+        before, edges = edges, checkpointed(small)
+        forget(before)
         state = seen(edges)
-    return edges.select(F.col("u").alias("node"), F.col("v").alias("component"))
+    found = edges.select(F.col("u").alias("node"), F.col("v").alias("component"))
+    found.step_path = edges.step_path
+    return found

@@ -10,7 +10,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from trainscape.llm._common import checkpointed, connected_components, mix64, salted_join, skew_join, small_side, table, text_chunks
+from trainscape.llm._common import checkpointed, connected_components, forget, mix64, salted_join, skew_join, small_side, table, text_chunks
 
 #: 32 bands of 6 coordinates: two sets of similarity 0.85 share no band with probability 3e-7.
 ROWS_PER_BAND, BANDS = 6, 32
@@ -121,7 +121,9 @@ def _compared(pairs: DataFrame, texts: DataFrame, width: int, percent: int) -> D
     wanted = texts.join(small_side(ids), "id", "left_semi")
     left = pairs.join(wanted.select(F.col("id").alias("b"), F.col("text").alias("text_b")), "b")
     both = salted_join(left, wanted.select(F.col("id").alias("a"), F.col("text").alias("text_a")), ["a"], "b").select("a", "b", "text_a", "text_b")
-    return both.mapInArrow(_compare(width, percent), "a long, b long, linked boolean, size long, added array<long>, missing array<long>")
+    tested = checkpointed(both.mapInArrow(_compare(width, percent), "a long, b long, linked boolean, size long, added array<long>, missing array<long>"))
+    forget(ids)
+    return tested
 
 
 def _stars(banded: DataFrame, total: int) -> DataFrame:
@@ -131,7 +133,9 @@ def _stars(banded: DataFrame, total: int) -> DataFrame:
     weight = shared.groupBy("id").agg(F.sum("n").alias("weight"))
     rank = F.col("weight") * 1_048_576 + F.pmod(F.xxhash64("id"), F.lit(1_048_576))
     hubs = checkpointed(shared.join(weight, "id").groupBy("key").agg(F.max_by("id", rank).alias("a"), F.max("n").alias("n")))
-    return skew_join(shared.drop("n"), hubs, ["key"], "n", total).where("id <> a").select("a", F.col("id").alias("b")).distinct()
+    stars = checkpointed(skew_join(shared.drop("n"), hubs, ["key"], "n", total).where("id <> a").select("a", F.col("id").alias("b")).distinct())
+    forget(sizes, shared, hubs)
+    return stars
 
 
 def _judged(pairs: DataFrame, members: DataFrame, percent: int) -> DataFrame:
@@ -170,7 +174,7 @@ def _within_stars(tested: DataFrame, percent: int) -> DataFrame:
     often = checkpointed(each.groupBy("star", "e").agg(F.count("*").alias("n")))
     total = often.agg(F.sum("n")).first()[0] or 0
     if not total:
-        return tested.where("false").select("a", "b")
+        return checkpointed(tested.where("false").select("a", "b"))
     ranked = skew_join(each, often, ["star", "e"], "n", total).groupBy(*known).agg(F.sort_array(F.collect_list(F.struct("n", "e"))).alias("es"))
 
     def listed(bound) -> DataFrame:
@@ -184,16 +188,18 @@ def _within_stars(tested: DataFrame, percent: int) -> DataFrame:
     beside = skew_join(short, centre, ["star", "e"], "n", total).where("b <> x and not (linked and linkedx)")
     first = checkpointed(_judged(beside.select("star", "x", F.col("b").alias("y")).distinct(), members, percent))
 
-    joined = connected_components(members.where("linked").select(F.col("star").alias("a"), "b").unionByName(first)).withColumnRenamed("node", "b")
-    placed = checkpointed(lists.join(joined, "b", "left").withColumn("component", F.coalesce("component", "b")))
+    joined = connected_components(members.where("linked").select(F.col("star").alias("a"), "b").unionByName(first))
+    placed = checkpointed(lists.join(joined.withColumnRenamed("node", "b"), "b", "left").withColumn("component", F.coalesce("component", "b")))
     parts = placed.groupBy("star", "component").agg(F.count("*").alias("n")).groupBy("star").agg(F.max_by("component", F.struct("n", "component")).alias("main"), F.sum("n").alias("n"))
     parts = checkpointed(parts)
-    placed = checkpointed(skew_join(placed, parts, ["star"], "n", parts.agg(F.sum("n")).first()[0] or 0).withColumn("apart", F.col("component") != F.col("main")))
-    dear = placed.select("star", F.col("b").alias("y"), F.col("cost").alias("costy"), F.col("component").alias("componenty"), F.col("apart").alias("aparty"), F.explode("long").alias("e"))
-    low = placed.select("star", F.col("b").alias("x"), F.col("cost").alias("costx"), F.col("component").alias("componentx"), "apart", F.explode("short").alias("e"))
+    sided = checkpointed(skew_join(placed, parts, ["star"], "n", parts.agg(F.sum("n")).first()[0] or 0).withColumn("apart", F.col("component") != F.col("main")))
+    dear = sided.select("star", F.col("b").alias("y"), F.col("cost").alias("costy"), F.col("component").alias("componenty"), F.col("apart").alias("aparty"), F.explode("long").alias("e"))
+    low = sided.select("star", F.col("b").alias("x"), F.col("cost").alias("costx"), F.col("component").alias("componentx"), "apart", F.explode("short").alias("e"))
     met = dear.where("aparty").join(low.drop("apart"), ["star", "e"]).drop("aparty").unionByName(dear.where("not aparty").drop("aparty").join(low.where("apart").drop("apart"), ["star", "e"]))
     met = met.where("componentx <> componenty and (costx < costy or (costx = costy and x < y))").select("star", "x", "y").distinct()
-    return first.unionByName(_judged(met, members, percent))
+    links = checkpointed(first.unionByName(_judged(met, members, percent)))
+    forget(members, often, lists, centre, first, joined, placed, parts, sided)
+    return links
 
 
 def near_dedup(docs: DataFrame, width: int = 5, percent: int = 80, rows: int = ROWS_PER_BAND, bands: int = BANDS) -> DataFrame:
@@ -224,23 +230,27 @@ def near_dedup(docs: DataFrame, width: int = 5, percent: int = 80, rows: int = R
 
     heads = real.join(classes.select(F.col("head").alias("doc_id")).distinct(), "doc_id", "left_semi")
     banded = checkpointed(heads.select(F.col("doc_id").alias("id"), F.explode("bands").alias("key")))
-    stars = checkpointed(_stars(banded, total))
+    stars = _stars(banded, total)
+    forget(banded)
     texts = docs.where("doc_id is not null").select(F.col("doc_id").alias("id"), "text")
-    tested = checkpointed(_compared(stars, texts, width, percent))
-    links = tested.where("linked").select("a", "b").unionByName(_within_stars(tested, percent))
+    tested = _compared(stars, texts, width, percent)
+    within = _within_stars(tested, percent)
+    links = tested.where("linked").select("a", "b").unionByName(within)
 
     member = checkpointed(skew_join(real.select("doc_id", "digest", "n_shingles"), classes, ["digest", "n_shingles"], "n", total).select("doc_id", "n_shingles", "head", "n"))
     several = member.groupBy("doc_id").agg(F.collect_set("head").alias("heads")).where(F.size("heads") > 1)
     links = links.unionByName(several.select(F.array_min("heads").alias("a"), F.explode("heads").alias("b")))
-    found = connected_components(links).withColumnRenamed("node", "head")
-    named = member.groupBy("head").agg(F.count("*").alias("n")).join(found, "head", "left").select("head", "n", F.coalesce("component", "head").alias("component"))
-    placed = checkpointed(skew_join(member.drop("n"), checkpointed(named), ["head"], "n", total).select("doc_id", "n_shingles", "component"))
+    found = connected_components(links)
+    named = checkpointed(member.groupBy("head").agg(F.count("*").alias("n")).join(found.withColumnRenamed("node", "head"), "head", "left").select("head", "n", F.coalesce("component", "head").alias("component")))
+    placed = checkpointed(skew_join(member.drop("n"), named, ["head"], "n", total).select("doc_id", "n_shingles", "component"))
+    forget(classes, stars, tested, within, found, member, named)
 
     wordless = sketched.where("doc_id is not null and n_shingles = 0").select("doc_id", "n_shingles")
     wordless = wordless.join(placed.where("component <> doc_id").select("doc_id", "component").distinct(), "doc_id", "left")
     nameless = sketched.where("doc_id is null").select("doc_id", "n_shingles", F.col("doc_id").alias("component"))
     component = F.coalesce("component", "doc_id")
-    out = placed.unionByName(wordless).unionByName(nameless)
+    out = checkpointed(placed.unionByName(wordless).unionByName(nameless))
+    forget(sketched, placed)
     return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
 
 
