@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from trainscape.llm._common import checkpointed, crc_mod, mix64, small_side, table, text_chunks
+from trainscape.llm._common import checkpointed, crc_mod, forget, mix64, small_side, table, text_chunks
 
 #: Dimensions of the random letter vectors and letters per n-gram.
 DIMS, ORDER = 1024, 3
@@ -17,6 +17,8 @@ DIMS, ORDER = 1024, 3
 DOCS_PER_LANGUAGE = 512
 UND = "und"
 _GAP = ord(" ")
+#: Parts of one that the unit vectors of documents are rounded to, so that their sums are whole numbers and no order changes them.
+_PARTS = 2**32
 
 
 def letter_codes(text: str | None) -> np.ndarray:
@@ -88,8 +90,8 @@ def _profile(order: int, dims: int):
                 for lang, vector in zip(batch.column("lang").to_pylist(), bundles(batch.column("text").to_pylist(), order, dims)):
                     norm = float(np.linalg.norm(vector))
                     if norm:
-                        sums[lang] = sums.get(lang, 0) + vector / norm
-        yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.string()), pa.array([v.astype(float) for v in sums.values()], pa.list_(pa.float64()))], ["lang", "v"])
+                        sums[lang] = sums.get(lang, 0) + np.rint(vector.astype(float) / norm * _PARTS).astype(np.int64)
+        yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.string()), pa.array(list(sums.values()), pa.list_(pa.int64()))], ["lang", "v"])
 
     return run
 
@@ -102,12 +104,14 @@ def learn_prototypes(labelled: DataFrame, per_language: int = DOCS_PER_LANGUAGE,
     """
     h = F.xxhash64("doc_id")
     picked = labelled.select("lang", F.pmod(h, F.lit(per_language)).alias("salt"), h.alias("h")).groupBy("lang", "salt").agg(F.min("h").alias("h")).select("lang", "h")
-    chosen = labelled.withColumn("h", h).join(small_side(checkpointed(picked)), ["lang", "h"], "left_semi").select("lang", "text")
-    sums = chosen.mapInArrow(_profile(order, dims), "lang string, v array<double>").select("lang", F.posexplode("v").alias("i", "x")).groupBy("lang", "i").agg(F.sum("x").alias("x"))
+    picked = checkpointed(picked)
+    chosen = labelled.withColumn("h", h).join(small_side(picked), ["lang", "h"], "left_semi").select("lang", "text")
+    sums = chosen.mapInArrow(_profile(order, dims), "lang string, v array<long>").select("lang", F.posexplode("v").alias("i", "x")).groupBy("lang", "i").agg(F.sum("x").alias("x"))
     found: dict[str, np.ndarray] = {}
     for row in sums.groupBy("lang").agg(F.array_sort(F.collect_list(F.struct("i", "x"))).alias("v")).select("lang", F.col("v.x").alias("v")).collect():
-        vector = np.asarray(row["v"])
+        vector = np.asarray(row["v"], float)
         found[row["lang"]] = (vector / np.linalg.norm(vector)).astype(np.float32)
+    forget(picked)
     return dict(sorted(found.items()))
 
 
@@ -145,7 +149,7 @@ def identify_language(docs: DataFrame, prototypes: dict[str, np.ndarray], order:
     return rows.mapInArrow(_classify(prototypes, order, dims), "doc_id long, lang_pred string, score double")
 
 
-def with_language(docs: DataFrame, prototypes: dict[str, np.ndarray], least: float, order: int = ORDER, dims: int = DIMS) -> DataFrame:
+def with_language(docs: DataFrame, prototypes: dict[str, np.ndarray], least: float = 0.0, order: int = ORDER, dims: int = DIMS) -> DataFrame:
     """The documents that have a language, with lang set to it, other columns as they are.
 
     Texts without letters and texts whose cosine with each prototype is under `least` go.

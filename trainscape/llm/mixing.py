@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from trainscape.llm._common import checkpointed, small_side, table, words_count
+from trainscape.llm._common import checkpointed, forget, small_side, table, words_count
 
 #: Hexadecimal digits of a document's hash that each of the nested histograms takes: 4,096 buckets a level.
 DIGITS, LEVELS = 3, 4
@@ -62,7 +62,8 @@ def _thresholds(base: DataFrame, percent: int, repeats: int, weights: tuple[int,
         if level == LEVELS - 1:
             include = F.col("part").isNull() | (2 * room >= F.col("n"))
             joined = joined.withColumn("inclusive", include)
-        state = checkpointed(joined.withColumn("room", room).withColumn("prefix", F.concat("prefix", F.coalesce("part", F.lit("g")))).drop("part", "below", "n"))
+        before, state = state, checkpointed(joined.withColumn("room", room).withColumn("prefix", F.concat("prefix", F.coalesce("part", F.lit("g")))).drop("part", "below", "n"))
+        forget(before, edge)
     return state.select("source", "source_size", "target", "whole", "prefix", "inclusive")
 
 
@@ -90,8 +91,9 @@ def mix_sources(docs: DataFrame, percent: int = 150, repeats: int = 2, weights:
     taken if at least half of it fits. Nothing is sorted.
 
     The hash is md5 of doc_id (null: of the empty string), so reruns agree and
-    rows that repeat an id go together. Empty sources have target 0. Other
-    columns are ignored.
+    rows that repeat an id go together. Empty sources have target 0, an empty
+    table gives no rows; texts of any length are counted whole. Targets come
+    from one row per source, sorted in one task. Other columns are ignored.
     """
     base = checkpointed(_sized(docs))
     chosen = _by_source(base, _thresholds(base, percent, repeats, weights))
