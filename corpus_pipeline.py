@@ -2,28 +2,19 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from trainscape.llm import language_id, mixing, near_dedup, secret_scan, sentencepiece_fst
-from trainscape.llm._common import shared_dir, small_side
+from trainscape.llm._common import checkpointed, forget
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
-#: Texts whose cosine with every language stays under this are rejected with those without letters.
-LEAST_COSINE = 0.02
-
-
-def _kept(docs: DataFrame, verdicts: DataFrame) -> DataFrame:
-    """The documents whose doc_id is among the verdicts."""
-    return docs.join(small_side(verdicts.select(F.col("doc_id").alias("kept_id")).distinct()), F.col("doc_id") == F.col("kept_id"), "left_semi")
 
 
 def identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents in a learnt language, lang set to it; texts without letters or likeness to any language go."""
+    """Documents in a learnt language, lang set to it; texts without letters go, and all if no language can be learnt."""
     prototypes = language_id.learn_prototypes(language_id.train_rows(docs))
-    return language_id.with_language(docs.select(*COLUMNS), prototypes, LEAST_COSINE)
+    return language_id.with_language(docs.select(*COLUMNS), prototypes)
 
 
 def deduplicated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -52,12 +43,20 @@ STAGES = [("language_id", identified), ("near_dedup", deduplicated), ("secret_sc
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Applies the stages to documents; each result is written to the shared folder and read again."""
-    folder = f"{shared_dir(spark).rstrip('/')}/pipeline-{uuid.uuid4().hex}"
+    """Applies the stages to documents; each result is written to the shared folder as Parquet and read again, the one before it is deleted.
+
+    An empty table gives an empty result; null and empty texts go in the first
+    stage, repeated rows in none but the near-duplicate stage keeps all rows of
+    a kept doc_id; rows without doc_id stay alone. Columns beyond those of
+    documents are ignored.
+    """
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for name, stage in STAGES:
-        stage(spark, docs, sf_dir).write.parquet(f"{folder}/{name}")
-        docs = spark.read.parquet(f"{folder}/{name}")
+    before = None
+    for _, stage in STAGES:
+        docs = checkpointed(stage(spark, docs, sf_dir))
+        if before is not None:
+            forget(before)
+        before = docs
     return docs
 
 
