@@ -11,7 +11,7 @@ SF = "/root/testdata/sf0.001"
 
 
 def test_admm_needs_fewest_synchronisations(spark):
-    got = {r["algorithm"]: r for r in X.compare_algorithms(spark, "/root/testdata/sf0.01", batches=5, threshold=0.66, limits={"ga": 10, "ma": 30, "admm": 6}).collect()}
+    got = {r["algorithm"]: r for r in X.compare_algorithms(spark, "/root/testdata/sf0.01", batches=5, limits={"ga": 10, "ma": 30, "admm": 6}).collect()}
     assert got["admm"]["status"] == got["ma"]["status"] == "threshold"
     assert got["admm"]["syncs"] < got["ma"]["syncs"] < got["ga"]["syncs"]
     assert X.admm_on_network_is_refused()

@@ -63,7 +63,7 @@ def test_file_channel_rounds(spark, tmp_path):
     c.await_count(0, 0, 3)
     with pytest.raises(TimeoutError):
         c.await_count(0, 0, 4, timeout_s=0.2)
-    c.publish(patterns.scatter_reduce(c.merge(0, 0, 3), 3), 0, 0)
+    c.publish(patterns.scatter_reduce(c.merge(0, 0, 3)), 0, 0)
     assert c.fetch(0, 0).first()["value"] == 1.0
 
 

@@ -224,7 +224,7 @@ def test_nets_learn(spark):
     w, losses = nets.net_ga(df, net, 0.5, 40)
     assert losses[-1] < losses[0]
     assert nets.net_predict(df, net, w, ["vec_id"]).where("y = label_hat").count() > 150
-    _, losses = nets.net_ma(df, net, 0.2, 3, 2, 20)
+    _, losses = nets.net_ma(df, net, 0.2, 3, 2, 4)
     assert losses[-1] < losses[0]
 
 

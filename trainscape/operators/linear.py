@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
+import json
 from collections.abc import Iterator
 from dataclasses import replace
 
 import numpy as np
 import pyarrow as pa
+from pyspark import BarrierTaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from trainscape.operators.partition import assign_batches
 from trainscape.operators.patterns import reduce_with, transfers
 from trainscape.plans.job import JobSpec, TooLargeToCollect, TrainResult
 from trainscape.sources.tables import COLLECT_LIMIT, save_checkpoint
@@ -105,6 +108,27 @@ def local_pass(rows: DataFrame, start, feats: list[str], loss, lr: float, rho: f
     return rows.select("worker", "batch", "y", *feats).mapInArrow(_local_kernel(start, feats, loss, lr, rho, anchors or {}), "worker int, n long, steps int, w array<double>")
 
 
+def barrier_average(rows: DataFrame, w: np.ndarray, feats: list[str], loss, lr: float, tasks: int) -> np.ndarray:
+    """One round of model averaging within a single stage: all tasks start together, pass over their workers' rows, exchange
+    their weighted models at a barrier and leave with the same mean. The cluster needs `tasks` free cores."""
+    kernel = _local_kernel(w, feats, loss, lr, 0.0, {})
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total, n = np.zeros(len(w)), 0
+        for out in kernel(batches):
+            for own, count in zip(out.column("w").to_pylist(), out.column("n").to_pylist()):
+                total, n = total + count * np.array(own), n + count
+        context = BarrierTaskContext.get()
+        told = [json.loads(m) for m in context.allGather(json.dumps([n, total.tolist()]))]
+        if context.partitionId() == 0 and sum(c for c, _ in told):
+            mean = np.sum([t for _, t in told], axis=0) / sum(c for c, _ in told)
+            yield pa.RecordBatch.from_arrays([pa.array([mean], pa.list_(pa.float64()))], ["w"])
+
+    laid = rows.select("worker", "batch", "y", *feats).repartition(tasks, "worker").sortWithinPartitions("worker", "batch")
+    found = laid.mapInArrow(run, "w array<double>", barrier=True).collect()
+    return np.array(found[0]["w"]) if found else np.array(w, float)
+
+
 def statistics(local: DataFrame, weighted: bool = True) -> DataFrame:
     """(worker, coord, value, weight) of local models."""
     weight = F.col("n").cast("double") if weighted else F.lit(1.0)
@@ -133,19 +157,24 @@ def train(examples: DataFrame, feats: list[str], keys: list[str], job: JobSpec,
     validation split after each round (for 'ga' each epoch). A worker without
     rows counts for nothing. With a checkpoint path each round saves the shared
     model as worker -1, and x and u of each ADMM worker; `resume` takes them up.
-    The trace has the rows, messages and bytes of every worker and phase.
+    With reshuffle each epoch deals the rows into batches anew. The trace has
+    the counted rows, the messages and the bytes of every worker and phase.
     """
     job.validate()
     spark, d = examples.sparkSession, len(feats) + 1
     w = np.zeros(d) if w0 is None else np.array(w0, float)
-    laid = layout(examples, feats, job.workers, keys, table) if job.algorithm != "ga" else examples.select("split", "worker", "batch", "y", *feats).persist()
+    laid = layout(examples, feats, job.workers, keys, table) if job.algorithm != "ga" else examples.select("split", "worker", "batch", *(keys if job.reshuffle else []), "y", *feats).persist()
     rows, held = laid.where("split = 'train'"), laid.where("split = 'validation'")
+    first_rows = rows
     history, trace, status, n_round = [], [], None, 0
     n_msgs, parts = transfers(job.pattern, "object_store", job.workers)
     if resume and -1 in resume:
         w = np.array(resume[-1]["w"])
     resume = {k: v for k, v in (resume or {}).items() if k >= 0}
-    sizes_of = {r["worker"]: r["count"] for r in rows.groupBy("worker").count().collect()}
+    held_rows = {(r["worker"], r["batch"]): r["count"] for r in rows.groupBy("worker", "batch").count().collect()}  # workers times batches
+    sizes_of: dict[int, int] = {}
+    for (j, _), n in held_rows.items():
+        sizes_of[j] = sizes_of.get(j, 0) + n
     trace += [(job.run_id, 0, 0, 0, j, "load", n, 1, 8 * d * n) for j, n in sorted(sizes_of.items())]
 
     def told(batch: int, rows_of: dict[int, int], passes: int = 1) -> None:
@@ -160,11 +189,15 @@ def train(examples: DataFrame, feats: list[str], keys: list[str], job: JobSpec,
         while status is None:
             n_round += 1
             before, lr = w.copy(), job.lr.at(n_round)
+            if job.reshuffle:
+                rows = assign_batches(first_rows.drop("batch"), keys, job.batches, n_round)
+                rows = rows if job.algorithm == "ga" else rows.sortWithinPartitions("worker", "batch", *keys)
+                held_rows = {(r["worker"], r["batch"]): r["count"] for r in rows.groupBy("worker", "batch").count().collect()}
             if job.algorithm == "ga":
                 for t in range(job.batches):
                     g, n = gradient(rows.where(F.col("batch") == t), w, feats, job.loss)
                     w = w - lr * g
-                    told(t, {j: round(m * n / max(1, sum(sizes_of.values()))) for j, m in sizes_of.items()})
+                    told(t, {j: held_rows.get((j, t), 0) for j in sizes_of})
             elif job.algorithm == "ma":
                 step = job.sync_every or job.batches
                 for t in range(0, job.batches, step):
@@ -174,7 +207,7 @@ def train(examples: DataFrame, feats: list[str], keys: list[str], job: JobSpec,
                     found = merged.collect()
                     for r in found:
                         w[r["coord"]] = r["value"]
-                    told(t, {j: round(m * min(step, job.batches - t) / job.batches) for j, m in sizes_of.items()})
+                    told(t, {j: sum(held_rows.get((j, i), 0) for i in range(t, min(t + step, job.batches))) for j in sizes_of})
             else:
                 anchors = {j: w - u.get(j, np.zeros(d)) for j in range(job.workers)}
                 x = {j: x.get(j, w.copy()) for j in range(job.workers)}

@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import math
+
+from pyspark.ml.feature import Bucketizer
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -19,13 +22,13 @@ def auc(pred: DataFrame, label: str, score: str, positive=1) -> DataFrame:
     """One row: n_pos, n_neg, auc. Counts per distinct score are enough, ties count half; null without both classes.
 
     Ranks run over scores rounded into counts, partially aggregated; the running
-    sum is taken within 1,024 score ranges and offset by the ranges before.
+    sum is taken within 1,024 ranges of about equally many distinct scores, and
+    offset by the ranges before. Rows without a score are left out.
     """
     is_ = (F.col(label) == positive).cast("long")
-    counts = pred.groupBy(F.col(score).cast("double").alias("s")).agg(F.sum(is_).alias("p"), F.sum(1 - is_).alias("q"))
-    edges = counts.agg(F.min("s").alias("lo"), F.max("s").alias("hi"))
-    at = F.when(F.col("hi") > F.col("lo"), F.least(F.floor((F.col("s") - F.col("lo")) / (F.col("hi") - F.col("lo")) * 1024), F.lit(1023))).otherwise(0)
-    ranged = counts.crossJoin(F.broadcast(edges)).withColumn("r", at)
+    counts = pred.select(F.col(score).cast("double").alias("s"), is_.alias("is")).where("s is not null").groupBy("s").agg(F.sum("is").alias("p"), F.sum(1 - F.col("is")).alias("q"))
+    edges = sorted({e for e in counts.approxQuantile("s", [i / 1024 for i in range(1, 1024)], 1e-4) if math.isfinite(e)})
+    ranged = Bucketizer(splits=[-math.inf, *edges, math.inf], inputCol="s", outputCol="r", handleInvalid="keep").transform(counts)
     ahead = Window.orderBy("r").rowsBetween(Window.unboundedPreceding, -1)
     offsets = ranged.groupBy("r").agg(F.sum("q").alias("q")).select("r", F.coalesce(F.sum("q").over(ahead), F.lit(0)).alias("o"))
     inside = F.sum("q").over(Window.partitionBy("r").orderBy("s").rowsBetween(Window.unboundedPreceding, -1))

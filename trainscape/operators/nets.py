@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from trainscape.functions.vectors import sum_vectors
+from trainscape.operators.partition import assign_batches
 
 
 def _softmax_loss(logits: np.ndarray, y: np.ndarray) -> tuple[float, np.ndarray]:
@@ -226,28 +227,40 @@ def net_ga(rows: DataFrame, net: _Net, lr: float, steps: int, batches: int = 1,
     return w, losses
 
 
-def net_ma(rows: DataFrame, net: _Net, lr: float, rounds: int, workers: int, batch_rows: int = 128, w: np.ndarray | None = None) -> tuple[np.ndarray, list[float]]:
-    """Model averaging: each worker's own pass in steps of batch_rows, then the row-weighted mean; the loss is that seen during the pass."""
+def net_ma(rows: DataFrame, net: _Net, lr: float, rounds: int, workers: int, batches: int = 4, w: np.ndarray | None = None) -> tuple[np.ndarray, list[float]]:
+    """Model averaging: each worker's own pass over its hashed batches, then the row-weighted mean; the loss is that seen during the pass.
+
+    A batch's gradient is summed over all Arrow batches that hold its rows, so steps do not depend on how rows lie.
+    """
     w, losses = net.init() if w is None else w, []
-    laid = rows.select("worker", "vec_id", "x", "y").repartition(workers, "worker").sortWithinPartitions("worker", "vec_id").persist()
+    laid = assign_batches(rows.select("worker", "vec_id", "x", "y"), ["vec_id"], batches).repartition(workers, "worker").sortWithinPartitions("worker", "batch", "vec_id").persist()
     for _ in range(rounds):
         start = w
 
-        def run(batches: Iterator[pa.RecordBatch], start=start) -> Iterator[pa.RecordBatch]:
+        def run(parts: Iterator[pa.RecordBatch], start=start) -> Iterator[pa.RecordBatch]:
             state: dict[int, list] = {}
-            for batch in batches:
-                if not batch.num_rows:
+            current, total, count = None, None, 0
+
+            def close() -> None:
+                if count:
+                    state[current[0]][0] = state[current[0]][0] - lr * total / count
+
+            for part in parts:
+                if not part.num_rows:
                     continue
-                x, y = _block(batch)
-                worker = batch.column("worker").to_numpy(zero_copy_only=False)
-                for j in np.unique(worker):
-                    own = state.setdefault(int(j), [start.copy(), 0, 0.0])
-                    at = np.flatnonzero(worker == j)
-                    for lo in range(0, len(at), batch_rows):
-                        part = at[lo : lo + batch_rows]
-                        l, g = net.loss_grad(own[0], x[part], y[part])
-                        own[0] = own[0] - lr * g / len(part)
-                        own[1], own[2] = own[1] + len(part), own[2] + l
+                x, y = _block(part)
+                worker, batch = (part.column(c).to_numpy(zero_copy_only=False) for c in ("worker", "batch"))
+                cuts = np.flatnonzero((worker[1:] != worker[:-1]) | (batch[1:] != batch[:-1])) + 1
+                for lo, hi in zip([0, *cuts], [*cuts, part.num_rows]):
+                    key = (int(worker[lo]), int(batch[lo]))
+                    if key != current:
+                        close()
+                        current, total, count = key, 0.0, 0
+                    own = state.setdefault(key[0], [start.copy(), 0, 0.0])
+                    l, g = net.loss_grad(own[0], x[lo:hi], y[lo:hi])
+                    total, count = total + g, count + hi - lo
+                    own[1], own[2] = own[1] + hi - lo, own[2] + l
+            close()
             if state:
                 yield pa.RecordBatch.from_arrays([pa.array([s[1] for s in state.values()]), pa.array([s[2] for s in state.values()]), pa.array([s[0] for s in state.values()], pa.list_(pa.float64()))], ["n", "loss", "w"])
 

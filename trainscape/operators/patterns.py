@@ -26,10 +26,9 @@ def all_reduce(stats: DataFrame, op: str = "mean") -> DataFrame:
     return _finish(partial.coalesce(1), op)
 
 
-def scatter_reduce(stats: DataFrame, slices: int, op: str = "mean") -> DataFrame:
-    """(coord, value): coordinates dealt into slices, each reduced by its owner; the model stays distributed."""
-    partial = stats.groupBy("coord").agg(F.sum(F.col("value") * F.col("weight")).alias("s"), F.sum("weight").alias("w"))
-    return _finish(partial.repartition(slices, F.pmod("coord", F.lit(slices))), op)
+def scatter_reduce(stats: DataFrame, op: str = "mean") -> DataFrame:
+    """(coord, value): every task sums what it holds, one exchange deals the coordinates out, and each task reduces its slice; the model stays distributed."""
+    return _finish(stats.groupBy("coord").agg(F.sum(F.col("value") * F.col("weight")).alias("s"), F.sum("weight").alias("w")), op)
 
 
 def tree_reduce(stats: DataFrame, fan_in: int, op: str = "mean") -> DataFrame:
@@ -38,9 +37,14 @@ def tree_reduce(stats: DataFrame, fan_in: int, op: str = "mean") -> DataFrame:
     return _finish(first.groupBy("coord").agg(F.sum("s").alias("s"), F.sum("w").alias("w")), op)
 
 
-def leader_merge(stats: DataFrame, op: str = "mean") -> DataFrame:
-    """Aggregation through storage: parts are written, one leader merges them, all read the merged state; the same plan as all_reduce."""
-    return all_reduce(stats, op)
+def leader_merge(stats: DataFrame, folder: str, op: str = "mean") -> DataFrame:
+    """(worker, coord, value): aggregation through storage. Each worker's part is written to the shared folder, the leader
+    reads and merges the parts and writes the merged state, and every worker reads it."""
+    spark = stats.sparkSession
+    stats.write.mode("overwrite").partitionBy("worker").parquet(f"{folder}/parts")
+    parts = spark.read.parquet(f"{folder}/parts")
+    all_reduce(parts, op).write.mode("overwrite").parquet(f"{folder}/merged")
+    return parts.select("worker").distinct().crossJoin(spark.read.parquet(f"{folder}/merged"))  # one copy of the model for each worker
 
 
 def ps_merge(model: DataFrame, stats: DataFrame, lr: float) -> DataFrame:
@@ -59,7 +63,7 @@ def payload(spark, n_bytes: int, workers: int) -> DataFrame:
 def reduce_with(pattern: str, stats: DataFrame, workers: int, op: str = "mean") -> DataFrame:
     if pattern == "all_reduce":
         return all_reduce(stats, op)
-    return tree_reduce(stats, max(2, round(workers**0.5)), op) if pattern == "tree_reduce" else scatter_reduce(stats, max(1, workers), op)
+    return tree_reduce(stats, max(2, round(workers**0.5)), op) if pattern == "tree_reduce" else scatter_reduce(stats, op)
 
 
 def broadcast_model(model: DataFrame, rows: DataFrame, coords: int, limit: int = 5_000_000) -> DataFrame:

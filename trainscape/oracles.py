@@ -341,3 +341,46 @@ select r.epoch, r.iteration, w.worker from r cross join (select unnest(range(8))
     "estimate_sample": f"select o_orderkey from orders where {hash_sql('sample', 'o_orderkey')} < {int(0.1 * 2**32)}",
     "hash_buckets": f"select {hash_sql('worker', 'o_orderkey')} % 16 as bucket, count(*) as n from orders group by 1",
 }
+
+# ---- views over events, vectors and published values
+
+_VW = f"with {_WIDE}, n as (select count(*)::double n from l)"
+_SCORES = "select vec_id, sum(value * w) s from x join {m} using (coord) group by vec_id"
+_HINGE_LOSS = "select {k}::int as step, round(avg(greatest(0, 1 - y * s)), 6) + 0.0e0 as loss from l join {s} using (vec_id)"
+_KM = "with v as materialized (select vec_id, unnest(range(64)) i, unnest(embedding)::double v from embeddings), x as materialized (select a.vec_id, a.i * 64 + b.i coord, a.v * b.v as value from v a join v b using (vec_id)), first as (select vec_id, row_number() over (order by vec_id) - 1 as cluster from (select vec_id from embeddings order by vec_id limit 10)), c0 as materialized (select cluster, coord, value c from x join first using (vec_id))"
+
+
+def _km_step(k: int) -> str:
+    nearest = f"d{k} as materialized (select vec_id, cluster, sum((value - c) * (value - c)) d from x join c{k} using (coord) group by all), a{k} as materialized (select vec_id, min(d) d, arg_min(cluster, (round(d, 9), cluster)) cluster from d{k} group by vec_id)"
+    return f"{nearest}, c{k + 1} as materialized (select cluster, coord, avg(value) c from x join a{k} using (vec_id) group by all union all select cluster, coord, c from c{k} where cluster not in (select cluster from a{k}))"
+
+
+def _published_channels() -> str:
+    theirs = rows_sql(constants.PUBLISHED_CHANNELS, "run, channel, published_slowdown, published_cost")
+    ours = ORACLES["channel_relative"]
+    return f"with ours as ({ours}), theirs as (select run, channel, published_slowdown::double as published_slowdown, published_cost::double as published_cost from {theirs}) select run, channel, slowdown, published_slowdown, round(slowdown / published_slowdown - 1, 6) + 0.0e0 as slowdown_error, relative_cost, published_cost, round(relative_cost / published_cost - 1, 6) + 0.0e0 as cost_error from theirs join ours using (run, channel)"
+
+
+_TYPES = ["click", "error", "purchase", "signup", "view"]
+ORACLES |= {
+    "wide_svm_steps": f"{_VW}, m1 as materialized (select coord, sum(y * value) / any_value(n) w from x join l using (vec_id), n group by coord), s1 as materialized ({_SCORES.format(m='m1')}), g1 as (select coord, sum(y * value) / any_value(n) g from x join l using (vec_id) join s1 using (vec_id), n where y * s < 1 group by coord), m2 as materialized (select coord, w + coalesce(g, 0) w from m1 left join g1 using (coord)), s2 as materialized ({_SCORES.format(m='m2')}) select 0::int as step, 1.0e0 as loss union all {_HINGE_LOSS.format(k=1, s='s1')} union all {_HINGE_LOSS.format(k=2, s='s2')}",
+    "wide_kmeans": f"{_KM}, {_km_step(0)}, {_km_step(1)} select 0::int as step, round(avg(d), 6) + 0.0e0 as loss from a0 union all select 1::int, round(avg(d), 6) + 0.0e0 from a1",
+    "published_channels": _published_channels(),
+    "published_patterns": f"with p as ({ORACLES['pattern_table']}), t as {rows_sql(constants.PUBLISHED_PATTERNS, 'model, a, s')}, q as (select model, (w + 2) * (m_mb / {_STORE_B} + {_STORE_L}) a0, (3 * w - 2) * (m_mb / w / {_STORE_B} + {_STORE_L}) s0 from p) select model, round(a0 / s0, 6) as ratio, round(a::double / s::double, 6) as published_ratio, round(a0 / a::double - 1, 6) as all_reduce_error, round(s0 / s::double - 1, 6) as scatter_reduce_error from q join t using (model)",
+    "published_pipelines": f"with t as {rows_sql(constants.PUBLISHED_PIPELINES, 'infra, model, seconds, accuracy, published')}, d as (select infra, model, seconds::double * 100.0e0 * case when infra = 'fs' then {num(constants.PRICE_FS)} else {num(constants.PRICE_VC)} end as d, published::double as published_dollars from t) select infra, model, round(d, 6) as dollars, published_dollars, round(d / published_dollars - 1, 6) as error from d",
+    "time_to_loss": "with d as (select dayofyear(ts)::int as round, avg(value) l, sum(value) s from events group by 1), r as (select min(d.round) as round from d where l <= (select avg(l) from d)) select d.round, round(s, 4) as seconds, d.round as rounds from d join r on d.round = r.round",
+    "event_ranks": "select event_id, row_number() over w as row_no, rank() over w as rank, dense_rank() over w as dense, ntile(4) over w as tile, round(percent_rank() over w, 6) + 0.0e0 as percent, round(cume_dist() over w, 6) + 0.0e0 as cume from events where event_type = 'purchase' window w as (partition by event_type order by value desc, event_id)",
+    "event_cube": "select event_type, hour(ts)::int as hour, grouping_id(event_type, hour(ts))::int as level, count(*) as n, round(sum(value), 2) + 0.0e0 as total from events group by cube (event_type, hour(ts))",
+    "event_sets": "select 'event_type' as kind, event_type as key, count(*) as n from events group by event_type union all select 'hour', hour(ts)::varchar, count(*) from events group by hour(ts)",
+    "daily_types": f"select d.day::int as day, t.event_type, (select count(*) from events e where day(e.ts) = d.day and e.event_type = t.event_type) as n from (select distinct day(ts) as day from events) d, (select unnest({_TYPES}) as event_type) t",
+    "user_sets": "with b as (select distinct user_id from events where event_type = 'purchase'), c as (select distinct user_id from events where event_type = 'click') select 'both' as kind, count(*) as n from (from b intersect from c) union all select 'only_click', count(*) from (from c except from b) union all select 'either', count(*) from (from b union from c)",
+    "user_balance": "select user_id, count(*) filter (event_type = 'click') as click, count(*) filter (event_type = 'purchase') as purchase from events where event_type in ('click', 'purchase') group by user_id",
+    "dearest_purchases": "select user_id, event_id, value from events where event_type = 'purchase' qualify row_number() over (partition by user_id order by value desc, event_id) <= 2",
+    "value_change": "select event_type, count(*) filter (day(ts) % 2 = 0) as n_before, count(*) filter (day(ts) % 2 = 1) as n_after, round(avg(value) filter (day(ts) % 2 = 1) - avg(value) filter (day(ts) % 2 = 0), 6) + 0.0e0 as change from events group by event_type",
+    "sketch_errors": "select event_type, count(distinct user_id) as users, true as distinct_ok, true as median_ok, true as bars_ok from events group by event_type",
+    "join_ways": "select way, n from (select count(*) as n from orders join customer on o_custkey = c_custkey), (select unnest(['broadcast', 'merge', 'shuffle_hash']) as way)",
+    "vector_products": "select vec_id, round(list_inner_product(embedding::double[], embedding::double[]), 5) + 0.0e0 as dot, round(3 * list_sum(embedding::double[]), 5) + 0.0e0 as total from embeddings",
+    "label_means": "select label, i::int as coord, round(avg(v), 5) + 0.0e0 as value from (select label, unnest(range(64)) i, unnest(embedding)::double v from embeddings) group by label, i",
+    "rate_stream": "select residue, count(*) as n from (select unnest(range(100)) % 7 as residue) group by 1",
+    "invocation_plan": "select 0::int as worker, 'events.parquet' as name, 0::int as attempt",
+}

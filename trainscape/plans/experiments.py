@@ -3,32 +3,152 @@
 from __future__ import annotations
 
 import time
+from dataclasses import replace
 from functools import reduce
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from trainscape.functions.losses import LogisticLoss
+from trainscape.functions.losses import HingeLoss, LogisticLoss
 from trainscape.operators import asynchronous, linear, metrics, nets, patterns
-from trainscape.plans import analytic, channels, constants, pricing, tasks
+from trainscape.operators.partition import assign_batches, sample_hash
+from trainscape.plans import analytic, channels, constants, estimator, pricing, tasks
 from trainscape.plans.job import JobSpec, LrSchedule, NonConvexModelError, OutOfWorkerMemory, StopRule, check_memory
 
 FIT_KEYS = [*tasks.KEYS, "l_shipdate"]
 
 
-def compare_algorithms(spark: SparkSession, sf_dir: str, workers: int = 10, batches: int = 10, rates: tuple[float, ...] = (0.05,), threshold: float = 0.645, limits: dict[str, int] | None = None) -> DataFrame:
-    """(algorithm, lr, status, syncs, scans, loss): synchronisations and data scans of GA, MA and ADMM until a validation loss."""
+#: Losses of the comparisons and the validation loss that ends their runs.
+MODELS = {"lr": (LogisticLoss(), 0.66), "svm": (HingeLoss(l2=0.001), 0.86)}
+
+
+def compare_algorithms(spark: SparkSession, sf_dir: str, workers: int = 10, batches: int = 10, rates: tuple[float, ...] = (0.05,), limits: dict[str, int] | None = None, models: tuple[str, ...] = ("lr", "svm")) -> DataFrame:
+    """(model, algorithm, w, lr, status, syncs, scans, loss): synchronisations and data scans of GA, MA and ADMM until a validation loss."""
     df, _ = tasks.task_dense28(spark, sf_dir, workers, batches)
     df = df.persist()
     rows = []
-    for algorithm, most in (limits or {"ga": 20, "ma": 20, "admm": 8}).items():
-        for lr in rates:
-            r = linear.train(df, tasks.DENSE, FIT_KEYS, JobSpec(algorithm, lr=LrSchedule(lr), workers=workers, batches=batches, stop=StopRule(threshold, most)))
-            n = r.history[-1]["round"]
-            rows.append((algorithm, lr, r.status, n * (batches if algorithm == "ga" else 1), n * (10 if algorithm == "admm" else 1), float(r.history[-1]["loss"])))
+    for model in models:
+        loss, threshold = MODELS[model]
+        for algorithm, most in (limits or {"ga": 20, "ma": 20, "admm": 8}).items():
+            for lr in rates:
+                r = linear.train(df, tasks.DENSE, FIT_KEYS, JobSpec(algorithm, loss, LrSchedule(lr), workers, batches, stop=StopRule(threshold, most)))
+                n = r.history[-1]["round"]
+                rows.append((model, algorithm, workers, lr, r.status, n * (batches if algorithm == "ga" else 1), n * (10 if algorithm == "admm" else 1), float(r.history[-1]["loss"])))
+    df.unpersist()
+    return spark.createDataFrame(rows, "model string, algorithm string, w int, lr double, status string, syncs int, scans int, loss double")
+
+
+def workers_in_training(spark: SparkSession, sf_dir: str, workers: tuple[int, ...] = (8, 30, 100, 300), lr: float = 0.3) -> DataFrame:
+    """(algorithm, w, loss, n_bytes): one real pass of model averaging and ADMM by the number of logical workers; what they send grows with it."""
+    rows = []
+    for w in workers:
+        df, _ = tasks.task_dense28(spark, sf_dir, w, 4)
+        for algorithm in ("ma", "admm"):
+            r = linear.train(df, tasks.DENSE, FIT_KEYS, JobSpec(algorithm, lr=LrSchedule(lr), workers=w, batches=4, inner_epochs=2, stop=StopRule(max_rounds=1)))
+            rows.append((algorithm, w, float(r.history[-1]["loss"]), sum(t[8] for t in r.trace_rows if t[5] == "communicate")))
+    return spark.createDataFrame(rows, "algorithm string, w int, loss double, n_bytes long")
+
+
+def averaging_on_networks(spark: SparkSession, sf_dir: str, workers: int = 4, rounds: int = 4, lr: float = 0.3) -> DataFrame:
+    """(algorithm, round, loss, rises): gradient against model averaging of the convolutional net; rises counts the rounds in which the loss grew."""
+    df, _ = tasks.task_grid10(spark, sf_dir, workers)
+    net, rows = nets.SeparableConvNet(width=4, blocks=1), []
+    fit = df.where("split = 'train'").persist()
+    for name, losses in (("ga", nets.net_ga(fit, net, lr, rounds)[1]), ("ma", nets.net_ma(fit, net, lr, rounds, workers, 4)[1])):
+        rows += [(name, i, float(v), sum(b > a for a, b in zip(losses[:i], losses[1 : i + 1]))) for i, v in enumerate(losses)]
+    fit.unpersist()
+    return spark.createDataFrame(rows, "algorithm string, round int, loss double, rises int")
+
+
+def published_channels(spark: SparkSession, runs: list[tuple]) -> DataFrame:
+    """The channel replay beside the published table: (run, channel, slowdown, published_slowdown, slowdown_error, relative_cost, published_cost, cost_error); errors are relative."""
+    ours = channel_table(spark, runs).select("run", "channel", F.round("slowdown", 6).alias("slowdown"), F.round("relative_cost", 6).alias("relative_cost"))
+    theirs = spark.createDataFrame(constants.PUBLISHED_CHANNELS, "run string, channel string, published_slowdown double, published_cost double")
+    both = theirs.join(ours, ["run", "channel"])
+    return both.withColumn("slowdown_error", F.col("slowdown") / F.col("published_slowdown") - 1).withColumn("cost_error", F.col("relative_cost") / F.col("published_cost") - 1)
+
+
+def published_patterns(spark: SparkSession) -> DataFrame:
+    """(model, ratio, published_ratio, all_reduce_error, scatter_reduce_error): one round of our formula beside the published seconds."""
+    theirs = spark.createDataFrame(constants.PUBLISHED_PATTERNS, "model string, a double, s double")
+    both = pattern_table(spark).join(theirs, "model")
+    return both.select("model", (F.col("all_reduce_s") / F.col("scatter_reduce_s")).alias("ratio"), (F.col("a") / F.col("s")).alias("published_ratio"), (F.col("all_reduce_s") / F.col("a") - 1).alias("all_reduce_error"), (F.col("scatter_reduce_s") / F.col("s") - 1).alias("scatter_reduce_error"))
+
+
+def published_pipelines(spark: SparkSession) -> DataFrame:
+    """(infra, model, dollars, published_dollars, error): the published seconds at the implied unit prices."""
+    t = spark.createDataFrame(constants.PUBLISHED_PIPELINES, "infra string, model string, seconds double, accuracy double, published_dollars double")
+    dollars = F.col("seconds") * 100.0 * F.when(F.col("infra") == "fs", constants.PRICE_FS).otherwise(constants.PRICE_VC)
+    return t.select("infra", "model", dollars.alias("dollars"), "published_dollars", (dollars / F.col("published_dollars") - 1).alias("error"))
+
+
+def estimator_study(spark: SparkSession, sf_dir: str, fraction: float = 0.1, most: int = 30, workers: int = 4, batches: int = 4) -> DataFrame:
+    """(task, model, algorithm, threshold, estimated, actual, predicted_s, actual_s, rel_error): epochs to a loss from a hashed
+    sample and from all rows, and the function workers' run time that the analytic model gives for each.
+
+    The dense task runs model averaging and ADMM, the wide one mini-batch descent on whole vectors (ADMM of its blocks is not
+    built). The threshold is the loss of the whole data after a third of `most` rounds, so that it can be reached.
+    """
+    rows = []
+    df, _ = tasks.task_dense28(spark, sf_dir, workers, batches)
+    df = df.persist()
+    for model, (loss, _) in MODELS.items():
+        for algorithm, rounds in (("ma", most), ("admm", max(3, most // 5))):
+            job = JobSpec(algorithm, loss, LrSchedule(0.2), workers, batches, inner_epochs=2, stop=StopRule(max_rounds=rounds))
+            losses = [h["loss"] for h in linear.train(df, tasks.DENSE, FIT_KEYS, job).history]
+            threshold = losses[len(losses) // 3]
+            estimated, _ = estimator.estimate_epochs(df, tasks.DENSE, FIT_KEYS, replace(job, stop=StopRule(threshold, rounds)), fraction)
+            actual = next(i + 1 for i, v in enumerate(losses) if v <= threshold)
+            rows.append(("dense28", model, algorithm, float(threshold), estimated, actual, 8000.0, 0.000224, 90.0))
+    df.unpersist()
+    wide, meta = tasks.task_wide4096(spark, sf_dir)
+    wide = assign_batches(wide.where("split = 'train'"), ["vec_id"], batches).persist()
+    for model, (loss, _) in MODELS.items():
+        _, losses = linear.block_train(wide, loss, 0.5, most, meta.dims, batches)
+        smooth = [float(np.mean(losses[i : i + batches])) for i in range(0, len(losses) - batches + 1, batches)]
+        threshold = smooth[len(smooth) // 2]
+        _, sampled = linear.block_train(sample_hash(wide, ["vec_id"], fraction), loss, 0.5, most, meta.dims, batches)
+        epochs = [float(np.mean(sampled[i : i + batches])) for i in range(0, len(sampled) - batches + 1, batches)]
+        estimated = next((i + 1 for i, v in enumerate(epochs) if v <= threshold), None)
+        actual = next(i + 1 for i, v in enumerate(smooth) if v <= threshold)
+        rows.append(("wide4096", model, "sgd", threshold, estimated, actual, 110_000.0, 0.032768, 2000.0))
+    wide.unpersist()
+    out = []
+    for task, model, algorithm, threshold, estimated, actual, s_mb, m_mb, compute in rows:
+        seconds = [estimator.predict_runtime(spark, n, 10, s_mb, m_mb, compute).first()["runtime_s"] if n else None for n in (estimated, actual)]
+        out.append((task, model, algorithm, threshold, estimated, actual, *seconds))
+    frame = spark.createDataFrame(out, "task string, model string, algorithm string, threshold double, estimated int, actual int, predicted_s double, actual_s double")
+    return analytic.prediction_error(frame, "predicted_s", "actual_s").drop("abs_error")
+
+
+def scaling_study(spark: SparkSession, sf_dir: str, workers: tuple[int, ...] = (1, 4, 8), lr: float = 0.3, most: int = 12) -> DataFrame:
+    """(task, algo, w, f_w): how the epochs of model averaging to one loss grow with the number of workers, from real runs."""
+    rows, threshold = [], None
+    for w in workers:
+        df, _ = tasks.task_dense28(spark, sf_dir, w, 4)
+        losses = [h["loss"] for h in linear.train(df, tasks.DENSE, FIT_KEYS, JobSpec("ma", lr=LrSchedule(lr), workers=w, batches=4, stop=StopRule(max_rounds=most))).history]
+        threshold = threshold or losses[most // 3]
+        rows.append(("dense28", "ma", w, next((i + 1 for i, v in enumerate(losses) if v <= threshold), most)))
+    return analytic.fit_scaling(spark.createDataFrame(rows, "task string, algo string, w int, epochs int"))
+
+
+def model_against_spark(spark: SparkSession, sf_dir: str, epochs: tuple[int, ...] = (1, 2, 3, 6), workers: int = 4) -> DataFrame:
+    """(epochs, fitted, predicted_s, real_s, abs_error, rel_error): start-up and seconds an epoch are fitted to the shortest and the
+    longest of this machine's real runs, and tell the others. Real times differ between runs."""
+    df, _ = tasks.task_dense28(spark, sf_dir, workers, 4)
+    df = df.persist()
+    df.count()
+    real = []
+    linear.train(df, tasks.DENSE, FIT_KEYS, JobSpec("ma", lr=LrSchedule(0.3), workers=workers, batches=4, stop=StopRule(max_rounds=1)))
+    for e in epochs:
+        began = time.monotonic()
+        linear.train(df, tasks.DENSE, FIT_KEYS, JobSpec("ma", lr=LrSchedule(0.3), workers=workers, batches=4, stop=StopRule(max_rounds=e)))
+        real.append(time.monotonic() - began)
     df.unpersist()
-    return spark.createDataFrame(rows, "algorithm string, lr double, status string, syncs int, scans int, loss double")
+    each = (real[-1] - real[0]) / (epochs[-1] - epochs[0])
+    rows = [(e, e in (epochs[0], epochs[-1]), float(real[0] + each * (e - epochs[0])), float(t)) for e, t in zip(epochs, real)]
+    return analytic.prediction_error(spark.createDataFrame(rows, "epochs int, fitted boolean, predicted_s double, real_s double"), "predicted_s", "real_s")
 
 
 def admm_on_network_is_refused() -> bool:

@@ -91,6 +91,7 @@ class JobSpec:
     pattern: str = "scatter_reduce"
     stop: StopRule = field(default_factory=StopRule)
     run_id: str = "run"
+    reshuffle: bool = False
 
     def validate(self) -> JobSpec:
         if self.algorithm not in ("ga", "ma", "admm"):

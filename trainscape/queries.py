@@ -11,9 +11,10 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from trainscape.functions import arrow
 from trainscape.functions.hashing import portable_hash
 from trainscape.functions.losses import HingeLoss, LogisticLoss
-from trainscape.operators import asynchronous, clustering, features, joins, linear, metrics, nets, partition, patterns
+from trainscape.operators import asynchronous, clustering, features, joins, linear, metrics, nets, partition, patterns, views
 from trainscape.plans import analytic, channels, constants, designs, estimator, experiments, lifetime, pipeline, tasks, whatif
 from trainscape.plans.job import JobSpec, LrSchedule, StopRule
 from trainscape.sources.tables import load, shared_folder
@@ -122,7 +123,7 @@ def allreduce_mean(spark, sf_dir):
 
 
 def scatter_reduce_mean(spark, sf_dir):
-    return rounded(patterns.scatter_reduce(_embedding_stats(spark, sf_dir), 8), "value")
+    return rounded(patterns.scatter_reduce(_embedding_stats(spark, sf_dir)), "value")
 
 
 def tree_reduce_mean(spark, sf_dir):
@@ -381,7 +382,7 @@ def wide_kmeans(spark, sf_dir):
 
 
 def algorithm_comparison(spark, sf_dir):
-    return experiments.compare_algorithms(spark, sf_dir, workers=4, batches=4, rates=(0.3,), threshold=0.66, limits={"ga": 3, "ma": 6, "admm": 2})
+    return experiments.compare_algorithms(spark, sf_dir, workers=4, batches=4, rates=(0.3,), limits={"ga": 3, "ma": 6, "admm": 2})
 
 
 def sync_protocols(spark, sf_dir):
@@ -422,13 +423,14 @@ def instance_scatter(spark, sf_dir):
 
 def payload_reduce(spark, sf_dir):
     """The mean of a made 12 MB statistic of ten workers, per thousand coordinates."""
-    m = patterns.scatter_reduce(patterns.payload(spark, 12_000_000, 10), 10)
+    m = patterns.scatter_reduce(patterns.payload(spark, 12_000_000, 10))
     return rounded(m.groupBy(F.floor(F.col("coord") / 1000).alias("block")).agg(F.sum("value").alias("value"), F.count("*").alias("n")), "value")
 
 
 def retrain_stream(spark, sf_dir):
-    trainer = retrain.Retrainer(steps=2)
-    trainer.run(retrain.event_stream(spark, f"{sf_dir}/events.parque*", 10_000), f"{shared_folder(spark).rstrip('/')}/retrain-{uuid.uuid4().hex}")
+    folder = f"{shared_folder(spark).rstrip('/')}/retrain-{uuid.uuid4().hex}"
+    trainer = retrain.Retrainer(steps=2, spark=spark, folder=f"{folder}/model")
+    trainer.run(retrain.event_stream(spark, f"{sf_dir}/events.parque*", 10_000), f"{folder}/stream")
     rows = [(n, i, v) for _, n, w in trainer.history[-1:] for i, v in enumerate(w)]
     return rounded(spark.createDataFrame(rows, "n long, coord int, value double"), "value")
 
@@ -464,11 +466,148 @@ def hash_buckets(spark, sf_dir):
     return o.groupBy(F.pmod(portable_hash("worker", "o_orderkey"), F.lit(16)).alias("bucket")).agg(F.count("*").alias("n"))
 
 
+def estimator_study(spark, sf_dir):
+    return rounded(experiments.estimator_study(spark, sf_dir, most=9), "threshold", "predicted_s", "actual_s", "rel_error")
+
+
+def scaling_study(spark, sf_dir):
+    return rounded(experiments.scaling_study(spark, sf_dir, most=6), "f_w")
+
+
+def model_against_spark(spark, sf_dir):
+    return experiments.model_against_spark(spark, sf_dir)
+
+
+def workers_in_training(spark, sf_dir):
+    return rounded(experiments.workers_in_training(spark, sf_dir, (8, 300)), "loss")
+
+
+def averaging_on_networks(spark, sf_dir):
+    return rounded(experiments.averaging_on_networks(spark, sf_dir), "loss")
+
+
+def published_channels(spark, sf_dir):
+    cols = ["slowdown", "slowdown_error", "relative_cost", "cost_error"]
+    return rounded(experiments.published_channels(spark, RUNS), *cols)
+
+
+def published_patterns(spark, sf_dir):
+    return rounded(experiments.published_patterns(spark), "ratio", "published_ratio", "all_reduce_error", "scatter_reduce_error")
+
+
+def published_pipelines(spark, sf_dir):
+    return rounded(experiments.published_pipelines(spark), "dollars", "error")
+
+
+def time_to_loss(spark, sf_dir):
+    """Days are rounds, the daily mean value the loss: rounds and seconds until it is under its mean over all days."""
+    e = load(spark, sf_dir, "events", ["ts", "value"])
+    daily = e.groupBy(F.dayofyear("ts").alias("round")).agg(F.avg("value").alias("loss"), F.sum("value").alias("sim_end"))
+    threshold = daily.agg(F.avg("loss")).first()[0]
+    rounds = metrics.rounds_to(daily, threshold or 0.0)
+    return rounded(metrics.time_to(daily, daily, threshold or 0.0).crossJoin(rounds), "seconds", digits=4)
+
+
+def event_ranks(spark, sf_dir):
+    e = load(spark, sf_dir, "events", ["event_id", "event_type", "value"])
+    return rounded(views.ranks(e.where("event_type = 'purchase'"), ["event_type"], [F.col("value").desc(), F.col("event_id")]).select("event_id", "row_no", "rank", "dense", "tile", "percent", "cume"), "percent", "cume")
+
+
+def event_cube(spark, sf_dir):
+    e = load(spark, sf_dir, "events", ["ts", "event_type", "value"]).withColumn("hour", F.hour("ts"))
+    return rounded(views.cube_counts(e, ["event_type", "hour"], "value"), "total", digits=2)
+
+
+def event_sets(spark, sf_dir):
+    e = load(spark, sf_dir, "events", ["ts", "event_type"]).withColumn("hour", F.hour("ts"))
+    return views.set_counts(e, [["event_type"], ["hour"]])
+
+
+def daily_types(spark, sf_dir):
+    """Counts by day and type, made wide and long again."""
+    e = load(spark, sf_dir, "events", ["ts", "event_type"]).withColumn("day", F.day("ts"))
+    names = ["click", "error", "purchase", "signup", "view"]
+    return views.lengthen(views.widen(e, "day", "event_type", names), "day", names, "event_type", "n")
+
+
+def user_sets(spark, sf_dir):
+    """How many users buy, click, do both, only click, or either."""
+    e = load(spark, sf_dir, "events", ["user_id", "event_type"])
+    buy, click = (e.where(F.col("event_type") == t).select("user_id") for t in ("purchase", "click"))
+    parts = {"both": buy.intersect(click), "only_click": click.exceptAll(buy).distinct().subtract(buy), "either": buy.union(click).distinct()}
+    return reduce(DataFrame.unionByName, (df.agg(F.count("*").alias("n")).select(F.lit(k).alias("kind"), "n") for k, df in parts.items()))
+
+
+def user_balance(spark, sf_dir):
+    """Clicks and purchases of each user by a full outer join."""
+    e = load(spark, sf_dir, "events", ["user_id", "event_type"])
+    clicks, buys = (e.where(F.col("event_type") == t).groupBy("user_id").agg(F.count("*").alias(t)) for t in ("click", "purchase"))
+    return clicks.join(buys, "user_id", "full_outer").na.fill(0)
+
+
+def dearest_purchases(spark, sf_dir):
+    e = load(spark, sf_dir, "events", ["event_id", "user_id", "event_type", "value"])
+    return views.latest_each(e, e.where("event_type = 'purchase'"), "user_id", [F.col("value").desc(), F.col("event_id")], 2, ["event_id", "value"])
+
+
+def value_change(spark, sf_dir):
+    e = load(spark, sf_dir, "events", ["ts", "event_type", "value"])
+    return rounded(views.compare_groups(e.where("day(ts) % 2 = 0"), e.where("day(ts) % 2 = 1"), "event_type", "value"), "change")
+
+
+def sketch_errors(spark, sf_dir):
+    """Whether approximate distinct counts, medians and histograms keep their bounds against exact ones."""
+    e = load(spark, sf_dir, "events", ["user_id", "event_type", "value"])
+    exact = e.groupBy("event_type").agg(F.count_distinct("user_id").alias("users"), F.count("*").alias("n"), F.percentile("value", 0.49).alias("low"), F.percentile("value", 0.51).alias("high"))
+    both = views.sketches(e, "event_type", "user_id", "value").join(exact, "event_type")
+    heights = F.aggregate("bars", F.lit(0.0), lambda a, b: a + b["y"])
+    return both.select("event_type", "users", (F.abs(F.col("distinct") - F.col("users")) <= 0.1 * F.col("users") + 1).alias("distinct_ok"), F.col("median").between(F.col("low"), F.col("high")).alias("median_ok"), (F.abs(heights - F.col("n")) < 0.5).alias("bars_ok"))
+
+
+def join_ways(spark, sf_dir):
+    """Rows of one join by each hinted strategy."""
+    o, c = load(spark, sf_dir, "orders", ["o_orderkey", "o_custkey"]), load(spark, sf_dir, "customer", ["c_custkey"]).withColumnRenamed("c_custkey", "o_custkey")
+    return reduce(DataFrame.unionByName, (views.hinted(o, c, "o_custkey", way).agg(F.count("*").alias("n")).select(F.lit(way).alias("way"), "n") for way in ("broadcast", "merge", "shuffle_hash")))
+
+
+def vector_products(spark, sf_dir):
+    """x.x and the sum of 2x + x of each embedding by Arrow functions."""
+    e = load(spark, sf_dir, "embeddings", ["vec_id", "embedding"])
+    x = F.col("embedding").cast("array<double>")
+    total = F.aggregate(arrow.vec_axpy(2.0, x, x), F.lit(0.0), lambda a, b: a + b)
+    return rounded(e.select("vec_id", arrow.vec_dot(x, x).alias("dot"), total.alias("total")), "dot", "total", digits=5)
+
+
+def label_means(spark, sf_dir):
+    e = load(spark, sf_dir, "embeddings", ["label", "embedding"])
+    return rounded(e.groupBy("label").agg(arrow.vec_avg(F.col("embedding").cast("array<double>")).alias("v")).select("label", F.posexplode("v").alias("coord", "value")), "value", digits=5)
+
+
+def rate_stream(spark, sf_dir):
+    """One micro-batch of the deterministic rate source through a stateless stream: (residue, n)."""
+    folder, out = f"{shared_folder(spark).rstrip('/')}/rate-{uuid.uuid4().hex}", []
+    stream = spark.readStream.format("rate-micro-batch").option("rowsPerBatch", 100).option("numPartitions", 2).load().select((F.col("value") % 7).alias("residue"))
+
+    def take(batch: DataFrame, _: int) -> None:
+        out.extend((r["residue"], r["n"]) for r in batch.groupBy("residue").agg(F.count("*").alias("n")).collect())
+
+    stream.writeStream.foreachBatch(take).option("checkpointLocation", folder).trigger(availableNow=True).start().awaitTermination()
+    return spark.createDataFrame(out, "residue long, n long")
+
+
+def invocation_plan(spark, sf_dir):
+    """One worker per file of events, from the scan's own metadata; names without folders."""
+    files = views.list_partitions(spark.read.parquet(f"{sf_dir}/events.parquet"))
+    return files.select(F.col("worker").cast("int").alias("worker"), F.element_at(F.split("path", "/"), -1).alias("name"), "attempt")
+
+
 _NAMES = """dense28_features split_balance exact_partition minmax_scale tfidf_text ctr_crosses wide_outer_stats grid_classes lr_gd lr_ga_sgd svm_ga_sgd lr_ma_sgd lr_ma_sync2
 lr_admm kmeans_em allreduce_mean scatter_reduce_mean tree_reduce_mean two_phase_missing grid_search_lr pipeline_end_to_end tag_imbalance auc_toxic class_metrics stability_lag
 table_constants rpc_table startup_curve runtime_fs_grid runtime_vc_grid runtime_hp_grid runtime_bounds cost_grid_pareto regime_crossover whatif_fast_link whatif_hot_data
 multitenant_peaks multitenant_policies design_space breakdown_phases speedup_sanity channel_relative pattern_ledger async_schedule lr_async lr_async_add lifetime_restarts
 epoch_estimate conv_net_steps residual_net_steps conv_net_ma sparse_lr_step sparse_svm_step ctr_lr_step sparse_kmeans wide_lr_steps wide_svm_steps wide_kmeans
-algorithm_comparison sync_protocols systems_end_to_end model_validation pattern_table cache_threads rpc_servers memory_failures workers_sweep instance_scatter payload_reduce retrain_stream session_arrivals price_as_of job_overlaps estimate_sample hash_buckets""".split()
+algorithm_comparison sync_protocols systems_end_to_end model_validation pattern_table cache_threads rpc_servers memory_failures workers_sweep instance_scatter payload_reduce retrain_stream session_arrivals price_as_of job_overlaps estimate_sample hash_buckets
+estimator_study scaling_study model_against_spark workers_in_training averaging_on_networks published_channels published_patterns published_pipelines time_to_loss event_ranks event_cube event_sets
+daily_types user_sets user_balance dearest_purchases value_change sketch_errors join_ways vector_products label_means rate_stream invocation_plan""".split()
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {n: globals()[n] for n in _NAMES}

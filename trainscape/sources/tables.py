@@ -66,6 +66,11 @@ def _hadoop(spark: SparkSession, path: str):
     return where.getFileSystem(spark._jsc.hadoopConfiguration()), where
 
 
+def exists(spark: SparkSession, path: str) -> bool:
+    store, where = _hadoop(spark, path)
+    return store.exists(where)
+
+
 def cut_lineage(df: DataFrame) -> DataFrame:
     """df, computed once and read again from Parquet in the shared folder, so that lost executors cost no earlier step and
     joins know its size. The files go with the session, or by `forget`."""

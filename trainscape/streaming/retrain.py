@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from trainscape.functions.losses import LogisticLoss
 from trainscape.operators.linear import gradient
+from trainscape.sources.tables import exists, load_checkpoint, save_checkpoint
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -25,11 +26,18 @@ def event_features(events: DataFrame) -> DataFrame:
 
 
 class Retrainer:
-    """A model that takes a step for every micro-batch; a batch that is delivered again is not applied twice."""
+    """A model that takes a step for every micro-batch; a batch that is delivered again is not applied twice.
 
-    def __init__(self, feats: list[str] = ("f0", "f1", "f2"), lr: float = 0.1, steps: int = 1, loss=None):
+    With a folder the model is saved by batch id after each batch, and a new
+    Retrainer with that folder goes on from the last one.
+    """
+
+    def __init__(self, feats: list[str] = ("f0", "f1", "f2"), lr: float = 0.1, steps: int = 1, loss=None, spark: SparkSession | None = None, folder: str | None = None):
         self.feats, self.lr, self.steps, self.loss = list(feats), lr, steps, loss or LogisticLoss()
-        self.w, self.seen, self.history = np.zeros(len(self.feats) + 1), -1, []
+        self.w, self.seen, self.history, self.folder = np.zeros(len(self.feats) + 1), -1, [], folder
+        last = load_checkpoint(spark, folder, "retrain") if spark and folder and exists(spark, folder) else []
+        if last:
+            self.w, self.seen = np.array(last[0]["w"]), last[0]["iteration"]
 
     def apply(self, batch: DataFrame, batch_id: int) -> None:
         if batch_id <= self.seen:
@@ -41,6 +49,8 @@ class Retrainer:
             self.w = self.w - self.lr * g
         rows.unpersist()
         self.seen = batch_id
+        if self.folder:
+            save_checkpoint(batch.sparkSession, self.folder, "retrain", [(-1, 0, batch_id, [float(v) for v in self.w], [])])
         self.history.append((batch_id, n, [float(v) for v in self.w]))
 
     def run(self, stream: DataFrame, checkpoint: str) -> list[tuple]:
