@@ -45,11 +45,13 @@ def skew_join(left: DataFrame, right: DataFrame, keys: list[str], weight: str, t
     return left.join(F.broadcast(hot), keys).unionByName(cold)
 
 
-def salted_join(left: DataFrame, right: DataFrame, keys: list[str], spread: str) -> DataFrame:
+def salted_join(left: DataFrame, right: DataFrame, keys: list[str], spread: str, among: DataFrame) -> DataFrame:
     """The inner join with right, which has few rows for each key: left's rows of one key are dealt out by the column
-    `spread`, and right's go once to each part that there is. For values too large to broadcast."""
-    left = left.withColumn("salt", F.pmod(F.xxhash64(spread), F.lit(SALTS)))
-    return left.join(left.select(*keys, "salt").distinct().join(right, keys), [*keys, "salt"]).drop("salt")
+    `spread`, and right's go once to each part that there is. For values too large to broadcast; `among` is a computed
+    frame with left's keys and spread."""
+    salt = F.pmod(F.xxhash64(spread), F.lit(SALTS)).alias("salt")
+    parts = small_side(among.select(*keys, salt).distinct())
+    return left.select("*", salt).join(right.join(parts, keys), [*keys, "salt"]).drop("salt")
 
 
 def words_count(text: Column) -> Column:

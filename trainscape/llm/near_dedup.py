@@ -119,8 +119,8 @@ def _compared(pairs: DataFrame, texts: DataFrame, width: int, percent: int) -> D
     """(a, b, linked, size, added, missing) of pairs, on their full sets; an a of very many pairs is dealt out."""
     ids = checkpointed(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct())
     wanted = texts.join(small_side(ids), "id", "left_semi")
-    left = pairs.join(wanted.select(F.col("id").alias("b"), F.col("text").alias("text_b")), "b")
-    both = salted_join(left, wanted.select(F.col("id").alias("a"), F.col("text").alias("text_a")), ["a"], "b").select("a", "b", "text_a", "text_b")
+    left = wanted.select(F.col("id").alias("b"), F.col("text").alias("text_b")).join(small_side(pairs), "b")
+    both = salted_join(left, wanted.select(F.col("id").alias("a"), F.col("text").alias("text_a")), ["a"], "b", pairs).select("a", "b", "text_a", "text_b")
     tested = checkpointed(both.mapInArrow(_compare(width, percent), "a long, b long, linked boolean, size long, added array<long>, missing array<long>"))
     forget(ids)
     return tested
@@ -141,9 +141,12 @@ def _stars(banded: DataFrame, total: int) -> DataFrame:
 def _judged(pairs: DataFrame, members: DataFrame, percent: int) -> DataFrame:
     """(a, b): the linked ones of pairs (star, x, y), by what x and y share of their differences from the hub."""
     sides = [members.select("star", *(F.col(c).alias(f"{c}{i}") for c in ("differences", "cost")), F.col("b").alias(i), *(["room"] if i == "x" else [])) for i in "xy"]
-    both = salted_join(pairs.join(sides[1], ["star", "y"]), sides[0], ["star", "x"], "y")
+    pairs = checkpointed(pairs)
+    both = salted_join(sides[1].join(small_side(pairs), ["star", "y"]), sides[0], ["star", "x"], "y", pairs)
     same = F.size(F.array_intersect("differencesx", "differencesy"))
-    return both.where((100 + percent) * same >= F.col("costx") + F.col("costy") - F.col("room")).select(F.col("x").alias("a"), F.col("y").alias("b")).distinct()
+    linked = checkpointed(both.where((100 + percent) * same >= F.col("costx") + F.col("costy") - F.col("room")).select(F.col("x").alias("a"), F.col("y").alias("b")).distinct())
+    forget(pairs)
+    return linked
 
 
 def _within_stars(tested: DataFrame, percent: int) -> DataFrame:
@@ -186,7 +189,7 @@ def _within_stars(tested: DataFrame, percent: int) -> DataFrame:
     short = lists.select("star", "b", "linked", "cost", F.explode("short").alias("e"))
     centre = checkpointed(short.groupBy("star", "e").agg(F.min_by(F.struct(F.col("b").alias("x"), F.col("linked").alias("linkedx")), F.struct("cost", "b")).alias("c"), F.count("*").alias("n")).where("n > 1").select("star", "e", "c.*", "n"))
     beside = skew_join(short, centre, ["star", "e"], "n", total).where("b <> x and not (linked and linkedx)")
-    first = checkpointed(_judged(beside.select("star", "x", F.col("b").alias("y")).distinct(), members, percent))
+    first = _judged(beside.select("star", "x", F.col("b").alias("y")).distinct(), members, percent)
 
     joined = connected_components(members.where("linked").select(F.col("star").alias("a"), "b").unionByName(first))
     placed = checkpointed(lists.join(joined.withColumnRenamed("node", "b"), "b", "left").withColumn("component", F.coalesce("component", "b")))
@@ -197,8 +200,9 @@ def _within_stars(tested: DataFrame, percent: int) -> DataFrame:
     low = sided.select("star", F.col("b").alias("x"), F.col("cost").alias("costx"), F.col("component").alias("componentx"), "apart", F.explode("short").alias("e"))
     met = dear.where("aparty").join(low.drop("apart"), ["star", "e"]).drop("aparty").unionByName(dear.where("not aparty").drop("aparty").join(low.where("apart").drop("apart"), ["star", "e"]))
     met = met.where("componentx <> componenty and (costx < costy or (costx = costy and x < y))").select("star", "x", "y").distinct()
-    links = checkpointed(first.unionByName(_judged(met, members, percent)))
-    forget(members, often, lists, centre, first, joined, placed, parts, sided)
+    second = _judged(met, members, percent)
+    links = checkpointed(first.unionByName(second))
+    forget(members, often, lists, centre, first, second, joined, placed, parts, sided)
     return links
 
 
