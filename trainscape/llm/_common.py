@@ -16,7 +16,7 @@ from trainscape.sources.tables import forget
 from trainscape.sources.tables import load as table  # noqa: F401
 from trainscape.sources.tables import shared_folder as shared_dir  # noqa: F401
 
-#: Rows of ids or thresholds that may be broadcast (16 to 40 bytes each).
+#: Rows of ids or thresholds that may be broadcast (16 to 60 bytes each).
 BROADCAST_ROWS = 500_000
 #: A key is hot if its rows are over one in this many of a table, and over HOT_ROWS.
 HOT_SHARE, HOT_ROWS = 1000, 100
@@ -33,12 +33,15 @@ def small_side(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
     return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
 
 
-def skew_join(left: DataFrame, right: DataFrame, keys: list[str], weight: str, total: int) -> DataFrame:
+def skew_join(left: DataFrame, right: DataFrame, keys: list[str], weight: str, total: int, computed: bool = True) -> DataFrame:
     """The inner join with right, which has one row for each key and in `weight` the number of left's rows with it.
 
-    The hot keys of a left table of about `total` rows are few by their
-    definition, so their rows of right are broadcast; the others are shuffled.
+    A computed right of few rows is broadcast. Else the hot keys of a left
+    table of about `total` rows are few by their definition, so their rows of
+    right are broadcast; the others are shuffled.
     """
+    if computed and right.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS:
+        return left.join(F.broadcast(right), keys)
     bar = max(HOT_ROWS, total // HOT_SHARE)
     hot = right.where(F.col(weight) > bar)
     cold = left.join(F.broadcast(hot.select(*keys)), keys, "left_anti").join(right.where(F.col(weight) <= bar), keys)
@@ -102,7 +105,7 @@ def connected_components(links: DataFrame) -> DataFrame:
         last = state
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n")).select("u", F.least("u", "m").alias("m"), "n")
-        large = skew_join(both.where("v > u"), low, ["u"], "n", 2 * state[0]).select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        large = skew_join(both.where("v > u"), low, ["u"], "n", 2 * state[0], computed=False).select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u").select(F.explode(F.array(F.struct("u", F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e")).select("e.*").where("u <> v").distinct()
         before, edges = edges, checkpointed(small)

@@ -232,7 +232,7 @@ def near_dedup(docs: DataFrame, width: int = 5, percent: int = 80, rows: int = R
     classes = checkpointed(real.groupBy("digest", "n_shingles").agg(F.min("doc_id").alias("head"), F.count("*").alias("n")))
     total = classes.agg(F.sum("n")).first()[0] or 0
 
-    heads = real.join(classes.select(F.col("head").alias("doc_id")).distinct(), "doc_id", "left_semi")
+    heads = real.join(small_side(classes.select(F.col("head").alias("doc_id"))), "doc_id", "left_semi")
     banded = checkpointed(heads.select(F.col("doc_id").alias("id"), F.explode("bands").alias("key")))
     stars = _stars(banded, total)
     forget(banded)
