@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from trainscape.llm import language_id, mixing, near_dedup, secret_scan, sentencepiece_fst
-from trainscape.llm._common import checkpointed, forget
+from trainscape.llm._common import checkpointed, forget, small_side
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
@@ -20,8 +20,8 @@ def identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def deduplicated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document, that of the smallest doc_id, of each group of near duplicates."""
     groups = near_dedup.near_dedup(docs, width=5, percent=80)
-    dropped = groups.where(~F.col("kept")).select(F.col("doc_id").alias("dropped_id")).distinct()
-    return docs.join(dropped, F.col("doc_id") == F.col("dropped_id"), "left_anti").select(*COLUMNS)
+    dropped = checkpointed(groups.where(~F.col("kept")).select(F.col("doc_id").alias("dropped_id")).distinct())
+    return docs.join(small_side(dropped), F.col("doc_id") == F.col("dropped_id"), "left_anti").select(*COLUMNS)
 
 
 def without_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
