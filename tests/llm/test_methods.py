@@ -79,7 +79,7 @@ def near_copies():
     return texts
 
 
-@pytest.mark.parametrize("width, percent", [(3, 85), (5, 80)])
+@pytest.mark.parametrize("width, percent", [(3, 85), (5, 80), (3, 55)])
 def test_near_dedup_equals_brute_force(spark, width, percent):
     texts = {**near_copies(), **{1000 + i: t for i, t in read(SF, "select doc_id, text from documents")}}
     df = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
@@ -87,6 +87,15 @@ def test_near_dedup_equals_brute_force(spark, width, percent):
     assert got == components(texts, width, percent)
 
 
+def test_bands_follow_the_threshold():
+    assert near_dedup.band_shape(85) == near_dedup.band_shape(80) == (6, 32)
+    for percent in range(1, 101):
+        rows, bands = near_dedup.band_shape(percent)
+        assert (1 - (percent / 100) ** rows) ** bands <= near_dedup.MISS
+    with pytest.raises(ValueError):
+        near_dedup.band_shape(0)
+
+
 def test_sketches_are_full_and_estimate_similarity():
     r = np.random.default_rng(0)
     pool = r.integers(0, 2**63, 3000).astype(np.uint64)

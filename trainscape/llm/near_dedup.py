@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -12,11 +13,25 @@ from pyspark.sql import functions as F
 
 from trainscape.llm._common import checkpointed, connected_components, forget, mix64, salted_join, skew_join, small_side, table, text_chunks
 
-#: 32 bands of 6 coordinates: two sets of similarity 0.85 share no band with probability 3e-7.
-ROWS_PER_BAND, BANDS = 6, 32
+#: At most this many coordinates a band, at least this many bands, and the chance to miss a pair at the threshold.
+MOST_ROWS, LEAST_BANDS, MISS = 6, 32, 1e-4
 _SIGNED = np.int64
 
 
+def band_shape(percent: int, miss: float = MISS) -> tuple[int, int]:
+    """(rows, bands) of the longest bands that miss two sets of similarity percent / 100 with a chance of at most `miss`.
+
+    32 bands of 6 are enough from 0.80 (6e-5; 0.85: 3e-7) on; lower
+    thresholds take shorter bands, the lowest more bands of one coordinate.
+    """
+    if not 0 < percent <= 100:
+        raise ValueError(f"a similarity of {percent} % cannot be searched by bands")
+    for rows in range(MOST_ROWS, 0, -1):
+        if (1 - (percent / 100) ** rows) ** LEAST_BANDS <= miss:
+            return rows, LEAST_BANDS
+    return 1, math.ceil(math.log(miss) / math.log(1 - percent / 100))
+
+
 class _WordHashes(dict):
     """64-bit hashes of words; forgets all when it holds a million."""
 
@@ -206,7 +221,7 @@ def _within_stars(tested: DataFrame, percent: int) -> DataFrame:
     return links
 
 
-def near_dedup(docs: DataFrame, width: int = 5, percent: int = 80, rows: int = ROWS_PER_BAND, bands: int = BANDS) -> DataFrame:
+def near_dedup(docs: DataFrame, width: int = 5, percent: int = 80, rows: int | None = None, bands: int | None = None) -> DataFrame:
     """Groups of near-duplicate documents: (doc_id, n_shingles, component_id, kept).
 
     Words are split at ASCII white space with A-Z lower-cased; a document's set
@@ -219,13 +234,16 @@ def near_dedup(docs: DataFrame, width: int = 5, percent: int = 80, rows: int = R
     one of the larger hash); members that stay apart are compared where their
     differences from the hub allow a link (an exact bound), so members of a
     band get the components that all their links would give. Every link is
-    exact on the full sets.
+    exact on the full sets. Bands follow the threshold (`band_shape`) unless
+    rows and bands are given.
 
     Null, empty and wordless texts have an empty set and are linked with
     nothing; texts of any length are taken whole. Rows without a doc_id stay
     alone (component_id null, kept). Rows with one doc_id and different texts
     share a node. An empty table gives no rows. Other columns are ignored.
     """
+    fit_rows, fit_bands = band_shape(percent)
+    rows, bands = rows or fit_rows, bands or fit_bands
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     sketched = checkpointed(docs.mapInArrow(_sketch(width, rows, bands), "doc_id long, n_shingles long, digest binary, bands array<long>"))
     real = sketched.where("doc_id is not null and n_shingles > 0")
