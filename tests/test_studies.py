@@ -182,3 +182,28 @@ def test_published_values_are_near(spark):
 
 def test_hinge_study_uses_a_reachable_threshold():
     assert isinstance(experiments.MODELS["svm"][0], HingeLoss) and experiments.MODELS["lr"][1] == 0.66
+
+
+def test_presets_train_and_replay(spark):
+    names = ("w1_kmeans", "w2_lr", "w4_svm", "w3_conv")
+    got = experiments.presets_end_to_end(spark, SF, names).collect()
+    assert {r["preset"] for r in got} == set(names) and all(r["last_loss"] < r["first_loss"] and r["seconds"] > 0 and r["dollars"] > 0 for r in got)
+    at = {(r["preset"], r["infra"]): r for r in got}
+    newer, older = (at["w3_conv", f"vc_gpu_{g}"] for g in ("newer", "older"))
+    assert newer["seconds"] < older["seconds"] and newer["dollars"] < older["dollars"]
+    assert ("w4_svm", "hadoop_ps") in at and ("w3_conv", "hadoop_ps") not in at
+    assert at["w4_svm", "hadoop_ps"]["seconds"] > at["w4_svm", "vc_net_t2_medium"]["seconds"]
+
+
+def test_counted_trace_holds_every_row(spark):
+    rows = spark.range(100).withColumnRenamed("id", "vec_id")
+    trace = experiments.counted_trace(rows, "t", ["vec_id"], 3, 2, 8, 80)
+    assert sum(t[6] for t in trace if t[5] == "load") == 100 and sum(t[6] for t in trace if t[5] == "compute") == 200
+    assert {t[7] for t in trace if t[5] == "communicate"} == {5}
+
+
+def test_async_net_overwrites_in_the_order_of_writes(spark):
+    got = experiments.sync_against_async_net(spark, SF, {0: 1.0, 1: 3.0}, 2).collect()
+    bsp, late = ([r for r in got if r["protocol"] == p] for p in ("bsp", "async"))
+    assert [r["sim_s"] for r in bsp] == [3.0, 6.0] and [r["sim_s"] for r in late] == [1.0, 2.0, 3.0, 6.0]
+    assert bsp[-1]["loss"] < bsp[0]["loss"]

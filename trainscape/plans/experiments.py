@@ -11,8 +11,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from trainscape.functions.losses import HingeLoss, LogisticLoss
-from trainscape.operators import asynchronous, linear, metrics, nets, patterns
-from trainscape.operators.partition import assign_batches, sample_hash
+from trainscape.operators import asynchronous, clustering, linear, metrics, nets, patterns
+from trainscape.operators.partition import assign_batches, assign_workers, sample_hash
 from trainscape.plans import analytic, channels, constants, estimator, pricing, tasks
 from trainscape.plans.job import JobSpec, LrSchedule, NonConvexModelError, OutOfWorkerMemory, StopRule, check_memory
 
@@ -229,6 +229,104 @@ def end_to_end(spark: SparkSession, sf_dir: str, row_s: float = 2e-5, data_mb: f
     return metrics.breakdown(timeline)
 
 
+def counted_trace(rows: DataFrame, run_id: str, keys: list[str], workers: int, rounds: int, row_bytes: int, model_bytes: int) -> list[tuple]:
+    """The trace of `rounds` passes over all rows by hashed workers: their counted rows, and a model's messages and bytes in each round."""
+    n_msgs, parts = patterns.transfers("all_reduce", "object_store", workers)
+    held = {r["worker"]: r["count"] for r in assign_workers(rows.select(*keys), keys, workers).groupBy("worker").count().collect()}  # one row a worker
+    trace = [(run_id, 0, 0, 0, j, "load", n, 1, n * row_bytes) for j, n in sorted(held.items())]
+    for r in range(1, rounds + 1):
+        trace += [t for j, n in sorted(held.items()) for t in ((run_id, r, r, 0, j, "compute", n, 0, 0), (run_id, r, r, 0, j, "communicate", 0, n_msgs, n_msgs * model_bytes // parts))]
+    return trace
+
+
+def run_preset(spark: SparkSession, sf_dir: str, name: str, rounds: int) -> tuple[list[float], list[tuple]]:
+    """(losses, trace) of a preset's first rounds on all training rows of its task, with the preset's workers and clusters."""
+    p = tasks.preset(name)
+    loss, workers, k = {"hinge": HingeLoss()}.get(p["model"], LogisticLoss()), p["workers"], p["k"]
+    if p["task"] == "dense28":
+        df, _ = tasks.task_dense28(spark, sf_dir, workers, 4)
+        if k:
+            fit = df.where("split = 'train'")
+            return clustering.em_kmeans(fit, tasks.DENSE, k, FIT_KEYS, rounds)[1], counted_trace(fit, name, FIT_KEYS, workers, rounds, 8 * 28, 8 * 29 * k)
+        run = linear.train(df, tasks.DENSE, FIT_KEYS, JobSpec("ma", loss, LrSchedule(0.3), workers, 4, stop=StopRule(max_rounds=rounds)))
+        return [float(h["loss"]) for h in run.history], run.trace_rows
+    if p["task"] in ("text47k", "ctr1m"):
+        key = "doc_id" if p["task"] == "text47k" else "event_id"
+        x, y, meta = (tasks.task_text if key == "doc_id" else tasks.task_ctr)(spark, sf_dir)
+        x, losses = x.persist(), []
+        if k:
+            first = x.select(key).distinct().orderBy(key).limit(k).collect()
+            of = spark.createDataFrame([(r[key], i) for i, r in enumerate(first)], f"{key} long, cluster int")
+            model = x.join(F.broadcast(of), key).select("cluster", "coord", "value")  # k rows
+            for _ in range(rounds):
+                model, at = clustering.sparse_em_step(x, model, key)
+                losses.append(float(at.agg(F.avg("d")).first()[0] or 0.0))
+        else:
+            y = y.where("split = 'train'").persist()
+            fit = x.join(y.select(key), key, "left_semi")
+            model = spark.createDataFrame([], "coord int, value double")
+            for _ in range(rounds):
+                losses.append(float(linear.sparse_loss(fit, y, model, loss, key) or 0.0))
+                model = linear.sparse_step(model, linear.sparse_gradient(fit, y, model, loss, key, meta.dims), 1.0)
+            y.unpersist()
+        x.unpersist()
+        return losses, counted_trace(y, name, [key], workers, rounds, 12 * 64, 8 * meta.dims * (k or 1))
+    df, meta = tasks.task_wide4096(spark, sf_dir) if p["task"] == "wide4096" else tasks.task_grid10(spark, sf_dir, workers)
+    fit = df.where("split = 'train'").persist()
+    if k:
+        at, losses = np.array([r["x"] for r in fit.orderBy("vec_id").limit(k).collect()], float), []
+        for _ in range(rounds):
+            at, value, _ = clustering.block_em_step(fit, at)
+            losses.append(float(value))
+        size = 8 * at.size
+    elif p["task"] == "wide4096":
+        losses, size = linear.block_train(fit, loss, 0.5, rounds, meta.dims)[1], 8 * meta.dims
+    else:
+        net = nets.SeparableConvNet(width=4, blocks=1) if p["model"] == "separable_conv" else nets.ResidualNet(width=4, blocks=1)
+        losses, size = nets.net_ga(fit, net, 0.3, rounds)[1], 8 * net.size
+    trace = counted_trace(fit, name, ["vec_id"], workers, rounds, 8 * meta.dims, size)
+    fit.unpersist()
+    return [float(v) for v in losses], trace
+
+
+def presets_end_to_end(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = tuple(tasks.PRESETS), rounds: int = 2, row_s: float = 2e-5, data_mb: float = 8000.0, hadoop: tuple[float, float] = (1.5, 180.0)) -> DataFrame:
+    """(preset, infra, rounds, first_loss, last_loss, seconds, dollars): every preset trained for some rounds and its trace replayed on each system.
+
+    Networks run on machines with GPUs of two generations too, the others on
+    the parameter-server system of a Hadoop stack, whose slowdown and start-up
+    are not published: `hadoop` is our choice of both.
+    """
+    out = []
+    for name in names:
+        losses, rows = run_preset(spark, sf_dir, name, rounds)
+        trace = spark.createDataFrame(rows, "run_id string, round int, epoch int, batch int, worker int, phase string, rows long, n_msgs long, n_bytes long")
+        w = tasks.preset(name)["workers"]
+        deep = tasks.preset(name)["task"] == "grid10"
+        more = [pricing.Profile.vc_gpu("older"), pricing.Profile.vc_gpu("newer")] if deep else [pricing.Profile.hadoop_ps(*hadoop)]
+        for system in (pricing.Profile.fs(), pricing.Profile.vc(), pricing.Profile.hybrid(), *more):
+            cost = pricing.dollar_cost(pricing.replay(trace, system, w, row_s, data_mb), system, w).first()
+            out.append((name, system.name, len(losses), losses[0], losses[-1], float(cost["seconds"]), float(cost["dollars"])))
+    return spark.createDataFrame(out, "preset string, infra string, rounds int, first_loss double, last_loss double, seconds double, dollars double")
+
+
+def sync_against_async_net(spark: SparkSession, sf_dir: str, delays: dict[int, float], steps: int, lr: float = 0.3) -> DataFrame:
+    """(protocol, step, sim_s, loss) of the convolutional net: rounds of all workers against overwriting writes in the order they end."""
+    df, _ = tasks.task_grid10(spark, sf_dir, len(delays))
+    fit, net = df.where("split = 'train'").persist(), nets.SeparableConvNet(width=4, blocks=1)
+    versions, rows = {0: net.init()}, []
+    for e in asynchronous.async_schedule(spark, delays, steps).orderBy("version_written").collect():  # workers times steps
+        base = versions[e["version_read"]]
+        g, _, _ = nets.net_gradient(fit.where(F.col("worker") == e["worker"]), net, base)
+        versions[e["version_written"]] = base - lr / np.sqrt(e["step"] + 1) * g
+        rows.append(("async", e["version_written"] - 1, float(e["write_at"]), float(nets.net_gradient(fit, net, versions[e["version_written"]])[1])))
+    w = net.init()
+    for s in range(steps):
+        w = w - lr / np.sqrt(s + 1) * nets.net_gradient(fit, net, w)[0]
+        rows.append(("bsp", s, (s + 1) * max(delays.values()), float(nets.net_gradient(fit, net, w)[1])))
+    fit.unpersist()
+    return spark.createDataFrame(rows, "protocol string, step int, sim_s double, loss double")
+
+
 def workers_sweep(spark: SparkSession) -> DataFrame:
     """(task, infra, w, runtime_s, dollars, on_front): time and cost over the number of workers, with the best trade-offs marked."""
     d = analytic.all_designs(analytic.parameter_grid(spark)).select("task", "algo", "infra", "w", "runtime_s", "dollars")

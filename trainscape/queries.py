@@ -393,6 +393,14 @@ def systems_end_to_end(spark, sf_dir):
     return experiments.end_to_end(spark, sf_dir, rounds=1)
 
 
+def presets_end_to_end(spark, sf_dir):
+    return rounded(experiments.presets_end_to_end(spark, sf_dir), "first_loss", "last_loss", "seconds", "dollars")
+
+
+def sync_protocols_net(spark, sf_dir):
+    return rounded(experiments.sync_against_async_net(spark, sf_dir, {0: 1.0, 1: 1.5, 2: 4.0}, 2), "loss")
+
+
 def model_validation(spark, sf_dir):
     return rounded(experiments.validate_model(spark, (1, 10)), "predicted_s", "replayed_s", "abs_error", "rel_error")
 
@@ -608,6 +616,6 @@ multitenant_peaks multitenant_policies design_space breakdown_phases speedup_san
 epoch_estimate conv_net_steps residual_net_steps conv_net_ma sparse_lr_step sparse_svm_step ctr_lr_step sparse_kmeans wide_lr_steps wide_svm_steps wide_kmeans
 algorithm_comparison sync_protocols systems_end_to_end model_validation pattern_table cache_threads rpc_servers memory_failures workers_sweep instance_scatter payload_reduce retrain_stream session_arrivals price_as_of job_overlaps estimate_sample hash_buckets
 estimator_study scaling_study model_against_spark workers_in_training averaging_on_networks published_channels published_patterns published_pipelines time_to_loss event_ranks event_cube event_sets
-daily_types user_sets user_balance dearest_purchases value_change sketch_errors join_ways vector_products label_means rate_stream invocation_plan""".split()
+daily_types user_sets user_balance dearest_purchases value_change sketch_errors join_ways vector_products label_means rate_stream invocation_plan presets_end_to_end sync_protocols_net""".split()
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {n: globals()[n] for n in _NAMES}
