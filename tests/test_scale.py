@@ -1,5 +1,6 @@
 """What must hold for tables far larger than those of the tests: plans, passes and the memory of one task."""
 
+import numpy as np
 from pyspark.sql import functions as F
 from tests.conftest import SF
 
@@ -18,3 +19,25 @@ def test_long_sparse_models_are_not_broadcast(spark):
     finally:
         spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
     assert "BroadcastExchange" not in plans[0] and "BroadcastExchange" in plans[1]
+
+
+def test_packed_sums_equal_the_gradient_for_one_worker_in_many_tasks(spark):
+    rows = [(i, "train" if i % 5 else "validation", 0, i % 3, 1.0 if i % 2 else -1.0, i / 50.0, None if i == 7 else 1.0 - i / 30.0) for i in range(60)]
+    df = spark.createDataFrame(rows, "id int, split string, worker int, batch int, y double, a double, b double").repartition(4)
+    blocks, w, loss = linear.pack(df, ["a", "b"]), np.array([0.3, -0.2, 0.1]), LogisticLoss()
+    sums = linear.packed_sums(blocks.where("fit"), w, loss)[-1]
+    want, n = linear.gradient(df.where("split = 'train'"), w, ["a", "b"], loss)
+    assert sums[-1] == n and np.allclose(sums[:-1] / n, want)
+    value = linear.packed_sums(blocks.where("not fit"), w, loss, value=True)[-1]
+    assert np.isclose(value[0] / value[1], linear.eval_loss(df.where("split = 'validation'"), w, ["a", "b"], loss))
+    assert blocks.where("fit").groupBy(F.spark_partition_id()).count().count() > 1  # a single worker's rows stay where they lie
+    blocks.unpersist()
+
+
+def test_experiments_join_the_tables_once(spark, monkeypatch):
+    from trainscape.plans import experiments
+
+    joined, inner = [], tasks._dense28_joined
+    monkeypatch.setattr(tasks, "_dense28_joined", lambda *a: joined.append(1) or inner(*a))
+    assert experiments.workers_in_training(spark, SF, (2, 3)).count() == 4 and len(joined) == 1
+    assert spark.conf.get("spark.sql.codegen.hugeMethodLimit") == "65535"
