@@ -9,24 +9,32 @@ from trainscape.llm import language_id, mixing, near_dedup, secret_scan, sentenc
 from trainscape.llm._common import checkpointed, forget, small_side
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
+#: Bytes of texts that a task hands to Python at once; the session keeps it, as a stage's rows are computed when they are written.
+BATCH_BYTES = 4 << 20
+
+
+def bounded(spark: SparkSession, rows: DataFrame) -> DataFrame:
+    """The rows, whose Arrow batches hold at most about BATCH_BYTES instead of 10,000 texts of any length."""
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
+    return rows
 
 
 def identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents in a learnt language, lang set to it; texts without letters go, and all if no language can be learnt."""
-    prototypes = language_id.learn_prototypes(language_id.train_rows(docs))
+    prototypes = language_id.learn_prototypes(language_id.train_rows(bounded(spark, docs)))
     return language_id.with_language(docs.select(*COLUMNS), prototypes)
 
 
 def deduplicated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document, that of the smallest doc_id, of each group of near duplicates."""
-    groups = near_dedup.near_dedup(docs, width=5, percent=80)
+    groups = near_dedup.near_dedup(bounded(spark, docs), width=5, percent=80)
     dropped = checkpointed(groups.where(~F.col("kept")).select(F.col("doc_id").alias("dropped_id")).distinct())
     return docs.join(small_side(dropped), F.col("doc_id") == F.col("dropped_id"), "left_anti").select(*COLUMNS)
 
 
 def without_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents; secrets in their texts are replaced by their kinds, n_chars follows."""
-    return secret_scan.redact_secrets(docs.select(*COLUMNS)).withColumn("n_chars", F.length("text").cast("long"))
+    return secret_scan.redact_secrets(bounded(spark, docs).select(*COLUMNS)).withColumn("n_chars", F.length("text").cast("long"))
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -36,7 +44,7 @@ def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def encoded(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """doc_id, n_tokens, ids and round_trip of each document."""
-    return sentencepiece_fst.encode_pieces(docs)
+    return sentencepiece_fst.encode_pieces(bounded(spark, docs))
 
 
 STAGES = [("language_id", identified), ("near_dedup", deduplicated), ("secret_scan", without_secrets), ("mix_sources", mixed), ("sentencepiece", encoded)]

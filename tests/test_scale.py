@@ -1,6 +1,8 @@
 """What must hold for tables far larger than those of the tests: plans, passes and the memory of one task."""
 
 import numpy as np
+import pyarrow as pa
+import pytest
 from pyspark.sql import functions as F
 from tests.conftest import SF
 
@@ -41,3 +43,42 @@ def test_experiments_join_the_tables_once(spark, monkeypatch):
     monkeypatch.setattr(tasks, "_dense28_joined", lambda *a: joined.append(1) or inner(*a))
     assert experiments.workers_in_training(spark, SF, (2, 3)).count() == 4 and len(joined) == 1
     assert spark.conf.get("spark.sql.codegen.hugeMethodLimit") == "65535"
+
+
+READERS = "async_schedule breakdown_phases cache_threads channel_relative cost_grid_pareto design_space instance_scatter memory_failures model_validation pattern_table payload_reduce published_channels".split()
+
+
+@pytest.mark.parametrize("name", READERS)
+def test_query_loads_a_given_table(spark, monkeypatch, name):
+    from trainscape import queries
+
+    seen = []
+
+    class Loaded(Exception):
+        pass
+
+    def load(_, __, table, cols=None):
+        seen.append(table)
+        raise Loaded
+
+    monkeypatch.setattr(queries, "load", load)
+    monkeypatch.setattr(tasks, "load", load)
+    with pytest.raises(Loaded):
+        queries.QUERIES[name](spark, SF)
+    assert seen in (["events"], ["documents"], ["lineitem"])
+
+
+def test_pipeline_stages_bound_the_texts_that_python_takes_at_once(spark):
+    import corpus_pipeline
+
+    def largest(batches):
+        yield pa.RecordBatch.from_pydict({"n": pa.array([max(b.nbytes for b in batches)], pa.int64())})
+
+    name = "spark.sql.execution.arrow.maxBytesPerBatch"
+    before = spark.conf.get(name)
+    try:
+        docs = spark.range(0, 400, 1, 1).select(F.col("id").alias("doc_id"), F.repeat(F.lit("word "), 10_000).alias("text"), F.lit("en").alias("lang"), F.lit("s").alias("source"), F.lit(50_000).cast("long").alias("n_chars"))
+        corpus_pipeline.without_secrets(spark, docs, SF)
+        assert docs.mapInArrow(largest, "n long").first()["n"] < 2 * corpus_pipeline.BATCH_BYTES  # 20 MB in one batch otherwise
+    finally:
+        spark.conf.set(name, before)
