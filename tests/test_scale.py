@@ -82,3 +82,29 @@ def test_pipeline_stages_bound_the_texts_that_python_takes_at_once(spark):
         assert docs.mapInArrow(largest, "n long").first()["n"] < 2 * corpus_pipeline.BATCH_BYTES  # 20 MB in one batch otherwise
     finally:
         spark.conf.set(name, before)
+
+
+def test_presets_of_a_task_share_its_rows(spark, monkeypatch):
+    from trainscape.plans import experiments
+
+    made, inner = [], tasks.task_dense28
+    monkeypatch.setattr(tasks, "task_dense28", lambda *a, **k: made.append(1) or inner(*a, **k))
+    got = experiments.presets_end_to_end(spark, SF, ("w1_lr", "w1_svm", "w1_kmeans"), 1).collect()
+    assert {r["preset"] for r in got} == {"w1_lr", "w1_svm", "w1_kmeans"} and len(made) == 1
+
+
+def test_sparse_passes_equal_the_joins(spark):
+    x, y, meta = tasks.task_ctr(spark, SF)
+    rows, _ = tasks.ctr_rows(spark, SF)
+    fit, loss = y.where("split = 'train'"), LogisticLoss()
+    w = np.random.default_rng(1).normal(size=meta.dims)
+    own = x.join(fit.select("event_id"), "event_id", "left_semi").persist()
+    at = [r["coord"] for r in own.select("coord").distinct().collect()]
+    model = spark.createDataFrame([(c, float(w[c])) for c in at], "coord int, value double")
+    want = {r["coord"]: r["g"] for r in linear.sparse_gradient(own, fit, model, loss, "event_id", meta.dims).collect()}
+    for given in (rows.where("split = 'train'"), linear.sparse_rows(own, fit, "event_id")):
+        value, n, g = linear.sparse_pass(given, w, loss)
+        assert n == fit.count() and np.isclose(value / n, linear.sparse_loss(own, fit, model, loss, "event_id"))
+        assert set(np.flatnonzero(g)) <= set(want) and all(np.isclose(g[c] / n, v) for c, v in want.items())
+    lone = linear.sparse_rows(own.limit(0), fit, "event_id")
+    assert np.isclose(linear.sparse_train(lone, loss, 1.0, 2, meta.dims), np.log(2)).all()

@@ -10,6 +10,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from trainscape.functions.hashing import portable_hash
+from trainscape.operators.linear import PACK_BYTES
+from trainscape.sources.tables import settings
 
 #: Centroids times dimensions up to which distances are one generated expression.
 NATIVE_TERMS = 512
@@ -120,6 +122,30 @@ def em_kmeans(rows: DataFrame, feats: list[str], k: int, keys: list[str], iters:
     return centroids, losses
 
 
+def packed_em_step(blocks: DataFrame, centroids: np.ndarray) -> tuple[np.ndarray, float, int]:
+    """em_step for rows that `linear.pack` holds; rows with a null are in no cluster."""
+    k, d = centroids.shape
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums, counts, losses = np.zeros((k, d)), np.zeros(k, np.int64), np.zeros(k)
+        half = (centroids**2).sum(1)[:, None]
+        for part in batches:
+            for n, data in zip(part.column("n"), part.column("data")):
+                rows = np.frombuffer(pa.decompress(data.as_buffer(), n.as_py() * 8 * (d + 1), "zstd")).reshape(d + 1, n.as_py())
+                x = rows[1:, rows[0] != 0]
+                at = (half - 2 * centroids @ x).argmin(0)
+                counts += np.bincount(at, minlength=k)
+                losses += np.bincount(at, ((x - centroids[at].T) ** 2).sum(0), minlength=k)
+                for j in range(d):
+                    sums[:, j] += np.bincount(at, x[j], minlength=k)
+        used = np.flatnonzero(counts)
+        yield pa.RecordBatch.from_arrays([pa.array(used.astype(np.int32)), pa.array(counts[used]), pa.array(losses[used]), pa.array(list(sums[used]), pa.list_(pa.float64()))], ["c", "n", "loss", "s"])
+
+    with settings(blocks.sparkSession, {"spark.sql.execution.arrow.maxBytesPerBatch": str(PACK_BYTES)}):
+        parts = blocks.select("n", "data").mapInArrow(run, "c int, n long, loss double, s array<double>")
+        return _moved(parts, centroids)
+
+
 # ---- sparse rows in coordinate form
 
 
@@ -171,6 +197,11 @@ def block_em_step(rows: DataFrame, centroids: np.ndarray) -> tuple[np.ndarray, f
         yield pa.RecordBatch.from_arrays([pa.array(used.astype(np.int32)), pa.array(counts[used]), pa.array(losses[used]), pa.array(list(sums[used]), pa.list_(pa.float64()))], ["c", "n", "loss", "s"])
 
     parts = rows.select("x").mapInArrow(run, "c int, n long, loss double, s array<double>")
+    return _moved(parts, centroids)
+
+
+def _moved(parts: DataFrame, centroids: np.ndarray) -> tuple[np.ndarray, float, int]:
+    """(new centroids, mean squared distance, rows) from the tasks' (c, n, loss, s)."""
     long = parts.select("c", "n", "loss", F.posexplode("s").alias("i", "v")).groupBy("c", "i").agg(F.sum("v").alias("v"), F.sum("n").alias("n"), F.sum("loss").alias("loss"))
     new, seen = centroids.copy(), {}
     for r in long.collect():
