@@ -2,6 +2,7 @@
 
 import random
 
+import numpy as np
 import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
@@ -160,3 +161,19 @@ def test_secrets_of_many_parts_are_found_whole():
 def test_both_texts_of_one_id_are_compared():
     batch = pa.RecordBatch.from_pydict({"a": [1, 1], "b": [2, 2], "text_a": ["x y z u", "p q r s"], "text_b": ["p q r s"] * 2})
     assert [out.column("linked").to_pylist() for out in near_dedup._compare(3, 80)([batch])] == [[False, True]]
+
+
+def test_toxicity_learns_from_every_label(spark, monkeypatch):
+    word = lambda i: "".join(chr(97 + int(d)) for d in str(i))
+    n = 9000  # none is a copy of another
+    rows = [(i, f"q{word(i)} said z{word(i * 7)} of k{word(i + 3)}", int(i % 9 == 0)) for i in range(n)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, toxic int").repartition(4)
+    own = [w for _, t, _ in rows for w in toxicity.toxic_words(t)]
+    models = []
+    for held in (toxicity.PAIRS_HELD, 0):  # pairs in the model, and in files
+        monkeypatch.setattr(toxicity, "PAIRS_HELD", held or 1000)
+        models.append(toxicity.learn_toxicity(df.select("doc_id", "text"), df.select("doc_id", "toxic")))
+    assert models[0].pair_files is None and not len(models[1].pair_keys) and models[1].pair_files
+    assert len(models[0].word_keys) == len(set(own))
+    texts = [t for _, t, _ in rows[:200]] + ["", None, "nothing known"]
+    assert np.allclose(*(m.measures(texts, near_dedup._WordHashes()) for m in models))
