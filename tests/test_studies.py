@@ -207,3 +207,13 @@ def test_async_net_overwrites_in_the_order_of_writes(spark):
     bsp, late = ([r for r in got if r["protocol"] == p] for p in ("bsp", "async"))
     assert [r["sim_s"] for r in bsp] == [3.0, 6.0] and [r["sim_s"] for r in late] == [1.0, 2.0, 3.0, 6.0]
     assert bsp[-1]["loss"] < bsp[0]["loss"]
+
+
+def test_algorithms_are_compared_until_their_loss(spark, monkeypatch):
+    from trainscape.plans.job import TrainResult
+
+    jobs = []
+    monkeypatch.setattr(experiments.linear, "train", lambda df, feats, keys, job: jobs.append(job) or TrainResult(None, [{"round": 40, "loss": 0.1}], "threshold", []))
+    got = queries.QUERIES["algorithm_comparison"](spark, SF).collect()
+    assert len(got) == len(jobs) == 6 and all(r["w"] == 10 for r in got)
+    assert all(j.batches == 10 and j.stop.threshold is not None and j.stop.reason(40, 1.0, 1.0) is None for j in jobs)
